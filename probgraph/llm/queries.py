@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from probgraph.llm import mixing, url_filter
+from probgraph.llm import licenses, mixing, quality_classifier, quality_rules, url_filter
 from probgraph.llm.token_counts import token_counts
 from probgraph.sources import table
 
@@ -22,5 +22,18 @@ def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.url_filter(pages.select("page_id", "url"), url_filter.reported(pages))
 
 
-QUERIES = {f.__name__: f for f in (op1_token_counts, op2_mixing, op3_url_filter)}
+def op7_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "source", "text")
+    return quality_classifier.score(docs, quality_classifier.fit(docs, table(spark, sf_dir, "labels")))
+
+
+def op9_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.license_scan(table(spark, sf_dir, "documents"))
+
+
+def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_rules.judged(table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source"))
+
+
+QUERIES = {f.__name__: f for f in (op1_token_counts, op2_mixing, op3_url_filter, op7_quality_classifier, op9_licenses, op10_quality_rules)}
 ORACLE = {"op2_mixing": mixing.oracle(), "op3_url_filter": url_filter.ORACLE}
