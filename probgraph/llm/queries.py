@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from probgraph.llm import licenses, mixing, quality_classifier, quality_rules, url_filter
+from probgraph.llm import decontamination, licenses, mixing, quality_classifier, quality_rules, url_filter
 from probgraph.llm.token_counts import token_counts
 from probgraph.sources import table
 
@@ -27,6 +27,10 @@ def op7_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_classifier.score(docs, quality_classifier.fit(docs, table(spark, sf_dir, "labels")))
 
 
+def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontamination.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op9_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.license_scan(table(spark, sf_dir, "documents"))
 
@@ -35,5 +39,5 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.judged(table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source"))
 
 
-QUERIES = {f.__name__: f for f in (op1_token_counts, op2_mixing, op3_url_filter, op7_quality_classifier, op9_licenses, op10_quality_rules)}
+QUERIES = {f.__name__: f for f in (op1_token_counts, op2_mixing, op3_url_filter, op7_quality_classifier, op8_decontamination, op9_licenses, op10_quality_rules)}
 ORACLE = {"op2_mixing": mixing.oracle(), "op3_url_filter": url_filter.ORACLE}
