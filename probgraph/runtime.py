@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import shutil
 import tempfile
 import uuid
 import zipfile
@@ -41,12 +42,12 @@ def ship(spark: SparkSession) -> None:
         return
     _shipped.add(sc.applicationId)
     root = Path(__file__).resolve().parent
-    with tempfile.TemporaryDirectory() as made:
-        name = f"{made}/probgraph.zip"
-        with zipfile.ZipFile(name, "w") as z:
-            for p in sorted(root.rglob("*.py")):
-                z.write(p, p.relative_to(root.parent))
-        sc.addPyFile(name)
+    name = tempfile.mkdtemp(prefix="probgraph-py-") + "/probgraph.zip"  # the driver serves it from there as long as it runs
+    with zipfile.ZipFile(name, "w") as z:
+        for p in sorted(root.rglob("*.py")):
+            z.write(p, p.relative_to(root.parent))
+    sc.addPyFile(name)
+    atexit.register(shutil.rmtree, Path(name).parent, ignore_errors=True)
 
 
 def stage(df: DataFrame) -> DataFrame:
