@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from probgraph.llm import decontamination, licenses, mixing, quality_classifier, quality_rules, substring_dedup, suffix_dedup, url_filter
+from probgraph.llm import decontamination, licenses, mixing, near_dedup, quality_classifier, quality_rules, substring_dedup, suffix_dedup, url_filter
 from probgraph.llm.token_counts import token_counts
 from probgraph.sources import table
 
@@ -26,6 +26,10 @@ def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.suffix_dedup(table(spark, sf_dir, "documents"))
 
 
+def op5_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.near_dedup(table(spark, sf_dir, "documents"))
+
+
 def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring_dedup.substring_dedup(table(spark, sf_dir, "documents"))
 
@@ -47,5 +51,11 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.judged(table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source"))
 
 
-QUERIES = {f.__name__: f for f in (op1_token_counts, op2_mixing, op3_url_filter, op4_suffix_dedup, op6_substring_dedup, op7_quality_classifier, op8_decontamination, op9_licenses, op10_quality_rules)}
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
+QUERIES = {f.__name__: f for f in (op1_token_counts, op2_mixing, op3_url_filter, op4_suffix_dedup, op5_near_dedup, op6_substring_dedup, op7_quality_classifier, op8_decontamination, op9_licenses, op10_quality_rules, pipeline)}
 ORACLE = {"op2_mixing": mixing.oracle(), "op3_url_filter": url_filter.ORACLE}
