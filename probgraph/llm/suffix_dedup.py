@@ -75,7 +75,8 @@ def repeated(shard: Shard, length: int = LENGTH, budget: int = BUDGET, folder: s
         exact = window_hash(wide, length)
         here = shared[seg]
         at = np.repeat(head, n[use]) + offset[here]
-        label = _pairs(run[at].view(np.uint64), exact[at])
+        # the seed's 64 bits are part of a window's identity
+        label = _pairs(run[at].view(np.uint64), exact[at] ^ (shard.h[first].view(np.uint64)[seg[here]] * np.uint64(3)))
         group[here] = label + len(seg)
     _, group = np.unique(group, return_inverse=True)
     occurs = np.bincount(group, weights=times[seg]).astype(np.int64)
