@@ -92,7 +92,9 @@ def bands(t: float = THRESHOLD, ratio: float = RATIO, recall: float = RECALL) ->
     return most
 
 
-SKETCH = "node long, doc long, text_key long, n int, set_key long, signature binary"
+SKETCH = "node long, doc long, text_key long, n int, set_key long, signature binary, low binary"
+#: Rows of ids that may be broadcast to keep texts from being shuffled; beyond it they are joined by a shuffle.
+ID_ROWS = 2_000_000
 
 
 def sketches(docs: DataFrame) -> DataFrame:
@@ -108,32 +110,32 @@ def sketches(docs: DataFrame) -> DataFrame:
                     continue
                 s, key = shingles(code), text_key(code)
                 node = xxhash.xxh3_64_intdigest(doc.to_bytes(8, "little", signed=True) + key.to_bytes(8, "little", signed=True)) - (1 << 63)
-                rows.append((node, doc, key, len(s), xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63), signature(s).tobytes()))
-            c = list(zip(*rows)) if rows else [()] * 6
-            yield pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array(c[2], pa.int64()), pa.array(c[3], pa.int32()), pa.array(c[4], pa.int64()), pa.array(c[5], pa.binary())], names=["node", "doc", "text_key", "n", "set_key", "signature"])
+                sig = signature(s)
+                rows.append((node, doc, key, len(s), xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63), sig.tobytes(), sig.astype(np.uint8).tobytes()))
+            c = list(zip(*rows)) if rows else [()] * 7
+            yield pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array(c[2], pa.int64()), pa.array(c[3], pa.int32()), pa.array(c[4], pa.int64()), pa.array(c[5], pa.binary()), pa.array(c[6], pa.binary())], names=["node", "doc", "text_key", "n", "set_key", "signature", "low"])
 
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC)).alias("doc"), F.col("text").cast("string")).filter("text is not null")
     return rows.mapInArrow(run, SKETCH)
 
 
-def band_rows(nodes: DataFrame, t: float, ratio: float, recall: float) -> DataFrame:
-    """(key, band, node, n) of (node, n, signature); band = 100 x rows + number."""
-    most = bands(t, ratio, recall)
+def band_rows(nodes: DataFrame, most: dict[int, int]) -> DataFrame:
+    """(key, band, node, n, group) of (node, n, group, signature); band = 100 x rows + number. Made anew where it is needed: cheaper than to store."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             if not b.num_rows:
                 continue
-            node, n = b.column(0), b.column(1)
-            sig = np.stack([np.frombuffer(x.as_py(), np.uint32) for x in b.column(2)]).astype(np.uint64)
+            node, n, group = b.columns[:3]
+            sig = np.stack([np.frombuffer(x.as_py(), np.uint32) for x in b.column(3)]).astype(np.uint64)
             for r, count in most.items():
                 for k in range(count):
                     key = np.full(len(sig), np.uint64(100 * r + k))
                     for j in range(r):
                         key = mix(key * np.uint64(31) + sig[:, k * r + j])
-                    yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(np.full(len(sig), 100 * r + k, np.int16)), node, n], names=["key", "band", "node", "n"])
+                    yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(np.full(len(sig), 100 * r + k, np.int16)), node, n, group], names=["key", "band", "node", "n", "group"])
 
-    return nodes.select("node", "n", "signature").mapInArrow(run, "key long, band short, node long, n int")
+    return nodes.select("node", "n", "group", "signature").mapInArrow(run, "key long, band short, node long, n int, group long")
 
 
 PAIRS = "a long, b long"
@@ -197,65 +199,72 @@ def all_pairs(rows: DataFrame, t: float, ratio: float, recall: float) -> DataFra
 
 
 def plausible(pairs: DataFrame, nodes: DataFrame, t: float, ratio: float) -> DataFrame:
-    """Pairs (a, b, na, nb) in order of size whose signatures don't rule them out."""
-    one = nodes.select("node", "n", "signature")
+    """Pairs (a, b, na, nb, j) that the last 8 bits of the signatures' hashes don't rule out. Other hashes agree there in one of 256."""
+    import pandas as pd
+    from pyspark.sql import types as T
+
+    one = nodes.select("node", "n", "low")
     both = (
-        pairs.join(one.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("signature").alias("sa")), "a")
-        .join(one.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("signature").alias("sb")), "b")
+        pairs.join(one.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("low").alias("sa")), "a")
+        .join(one.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("low").alias("sb")), "b")
         .filter((F.greatest("na", "nb") <= ratio * F.least("na", "nb")))
     )
-    import pandas as pd
-    from pyspark.sql import types as T
 
     def agreement(parts: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
         for x, y in parts:
             if not len(x):
                 yield pd.Series([], dtype=float)
                 continue
-            a, b = (np.frombuffer(b"".join(map(bytes, s)), np.uint32).reshape(-1, HASHES) for s in (x, y))
+            a, b = (np.frombuffer(b"".join(map(bytes, s)), np.uint8).reshape(-1, HASHES) for s in (x, y))
             yield pd.Series((a == b).mean(axis=1))
 
     near = F.pandas_udf(agreement, T.DoubleType(), F.PandasUDFType.SCALAR_ITER)
     low, high = F.least("na", "nb"), F.greatest("na", "nb")
     need = t * low / (low + high - t * low)
     both = both.withColumn("j", near("sa", "sb")).filter(F.col("j") >= need - 4 * F.sqrt(need * (1 - need) / HASHES))
-    return both.select("a", "b", "na", "nb")
+    return both.select("a", "b", "na", "nb", "j")
+
+
+def few_links(pairs: DataFrame) -> DataFrame:
+    """For each node its largest partner and its most similar one: enough to link a group. Pairs left out here come up again in the second round unless their ends are linked by then."""
+    both = pairs.select("a", "b", "na", "nb", "j", F.col("a").alias("of"), F.struct("nb", -F.col("b")).alias("top")).unionByName(pairs.select("a", "b", "na", "nb", "j", F.col("b").alias("of"), F.struct(F.col("na").alias("nb"), -F.col("a")).alias("top")))
+    pair = F.struct("a", "b", "na", "nb")
+    best = both.groupBy("of").agg(F.max_by(pair, "top").alias("x"), F.max_by(pair, F.struct("j", "top")).alias("y"))
+    return best.select(F.explode(F.array("x", "y")).alias("p")).select("p.*").distinct()
 
 
 CHECKED = "a long, b long, na int, nb int, shared int"
 
 
 def checked(pairs: DataFrame, docs: DataFrame, nodes: DataFrame) -> DataFrame:
-    """Exact number of shared shingles of each pair. Only the texts that are in a pair are read again, as sets."""
+    """Exact number of shared shingles of each pair. Only the texts that are in a pair are made sets of again."""
     used = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
-    keys = used.join(nodes.select("node", "doc", "text_key"), "node")
+    keys = stage(used.join(nodes.select("node", "doc", "text_key"), "node"))
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codes = Codes()
         for b in batches:
-            out = [shingles(words(t.as_py(), codes)).tobytes() for t in b.column(1)]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary())], names=["node", "shingles"])
-
-    # a document id with several texts: the text is told by the hash of its words
-    def key_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codes = Codes()
-        for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([text_key(words(t.as_py(), codes)) for t in b.column(1)], pa.int64()), b.column(1)], names=["doc", "text_key", "text"])
-
-    texts = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC)).alias("doc"), F.col("text").cast("string")).filter("text is not null")
-    wanted = texts.join(keys.select("doc").distinct(), "doc", "left_semi").mapInArrow(key_of, "doc long, text_key long, text string")
-    have = wanted.join(keys, ["doc", "text_key"]).dropDuplicates(["node"]).select("node", "text").mapInArrow(sets, "node long, shingles binary")
-    have = stage(have)
+            found = [words(t.as_py(), codes) for t in b.column(1)]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([text_key(c) for c in found], pa.int64()), pa.array([shingles(c).tobytes() for c in found], pa.binary())], names=["doc", "text_key", "shingles"])
 
     def shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             got = [len(np.intersect1d(np.frombuffer(x.as_py(), np.uint32), np.frombuffer(y.as_py(), np.uint32), assume_unique=True)) for x, y in zip(b.column(4), b.column(5))]
             yield pa.RecordBatch.from_arrays([*b.columns[:4], pa.array(got, pa.int32())], names=["a", "b", "na", "nb", "shared"])
 
+    texts = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC)).alias("doc"), F.col("text").cast("string")).filter("text is not null")
+    wanted = texts.join(small(keys.select("doc").distinct(), ID_ROWS), "doc", "left_semi").select("doc", "text").mapInArrow(sets, "doc long, text_key long, shingles binary")
+    have = stage(wanted.join(small(keys, ID_ROWS), ["doc", "text_key"]).select("node", "shingles"))
+    have = have if docs_are_distinct(keys, have) else have.dropDuplicates(["node"])
     both = pairs.join(have.select(F.col("node").alias("a"), F.col("shingles").alias("sa")), "a").join(have.select(F.col("node").alias("b"), F.col("shingles").alias("sb")), "b")
     return both.select("a", "b", "na", "nb", "sa", "sb").mapInArrow(shared, CHECKED)
 
 
+def docs_are_distinct(keys: DataFrame, have: DataFrame) -> bool:
+    """Whether no text of the keys is there in two rows."""
+    return keys.count() == have.count()
+
+
 def components(edges: DataFrame, most: int = 40) -> DataFrame:
     """(node, group) of the nodes of undirected edges (a, b): the group is its least node. Alternating large and small stars."""
     pairs = cut(edges.select("a", "b").distinct())
@@ -276,20 +285,19 @@ def components(edges: DataFrame, most: int = 40) -> DataFrame:
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, ratio: float = RATIO, recall: float = RECALL, least: int = LEAST) -> DataFrame:
     """(doc, text_key, keep_doc, keep_key): texts to drop and the text that stays for each."""
     every = stage(sketches(docs))
-    one = every.dropDuplicates(["node"])
+    one = every.select("node", "doc", "text_key", "n", "set_key").distinct()
     # equal sets: the lowest id stands for them
-    heads = one.groupBy("set_key", "n").agg(F.min(F.struct("doc", "text_key", "node")).alias("head"), F.min("signature").alias("signature"), F.count("*").alias("texts"))
-    nodes = stage(heads.select("head.node", "head.doc", "head.text_key", "n", "signature", "set_key"))
-    rows = stage(band_rows(nodes, threshold, ratio, recall))
-
-    def edges(pairs: DataFrame) -> DataFrame:
-        return stage(checked(stage(plausible(pairs, nodes, threshold, ratio)), docs, nodes))
-
+    heads = every.groupBy("set_key", "n").agg(F.min(F.struct("doc", "text_key", "node")).alias("head"), F.min(F.struct("signature", "low")).alias("s"))
+    nodes = stage(heads.select("head.node", "head.doc", "head.text_key", "n", "set_key", "s.signature", "s.low"))
+    most = bands(threshold, ratio, recall)
     mutual = F.col("shared") >= threshold * F.greatest("na", "nb")
-    first = edges(star_pairs(rows.filter(F.floor(F.col("band") / 100) == max(bands(threshold, ratio, recall))), ratio))
-    grouped = stage(components(first.filter(mutual)))
-    rows = rows.join(grouped, "node", "left").withColumn("group", F.coalesce("group", "node"))
-    second = edges(all_pairs(rows, threshold, ratio, recall))
+
+    narrow = {max(most): most[max(most)]}
+    stars = star_pairs(band_rows(nodes.withColumn("group", F.col("node")), narrow), ratio)
+    first = stage(checked(stage(few_links(plausible(stars, nodes, threshold, ratio))), docs, nodes))
+    grouped = small(cut(components(first.filter(mutual))), ID_ROWS)
+    rows = band_rows(nodes.join(grouped, "node", "left").withColumn("group", F.coalesce("group", "node")), most)
+    second = stage(checked(stage(plausible(all_pairs(rows, threshold, ratio, recall), nodes, threshold, ratio).drop("j")), docs, nodes))
     found = first.unionByName(second)
     groups = components(found.filter(mutual))
     info = nodes.select("node", "doc", "text_key", "n")
