@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -28,13 +30,22 @@ def least_labels(src: np.ndarray, dst: np.ndarray) -> tuple[np.ndarray, np.ndarr
 
 
 def by_world(live: DataFrame) -> DataFrame:
-    """A world fits in a task: one shuffle by world, labels found on arrays. Nodes without live edges are left out."""
-
-    def run(key, part: pd.DataFrame) -> pd.DataFrame:
-        ids, label = least_labels(part.src.to_numpy(), part.dst.to_numpy())
-        return pd.DataFrame({"world": key[0], "node": ids, "label": label})
-
-    return live.groupBy("world").applyInPandas(run, live.select("world").schema.simpleString()[7:-1].replace(":", " ") + ", node long, label long")
+    """A world fits in a task: one shuffle by world; a task labels all its worlds in one go. Nodes without live edges are left out."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        got = [b for b in batches if b.num_rows]
+        if not got:
+            return
+        t = pa.Table.from_batches(got)
+        worlds, w = np.unique(t.column(0).to_numpy(), return_inverse=True)
+        names, ends = np.unique(np.concatenate([t.column(1).to_numpy(), t.column(2).to_numpy()]), return_inverse=True)
+        # a node of a world is one number; in a world their order is that of the nodes
+        both = np.concatenate([w, w]) * len(names) + ends
+        ids, label = least_labels(both[: len(w)], both[len(w) :])
+        yield pa.RecordBatch.from_arrays([pa.array(worlds[ids // len(names)]), pa.array(names[ids % len(names)]), pa.array(names[label % len(names)])], names=["world", "node", "label"])
+
+    kind = live.schema["world"].dataType.simpleString()
+    return live.select("world", "src", "dst").repartition("world").mapInArrow(run, f"world {kind}, node long, label long")
 
 
 def by_edge(live: DataFrame) -> DataFrame:

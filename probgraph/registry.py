@@ -225,20 +225,20 @@ w as (select distinct reg, mask from g, range(1024) t(mask) where mask < (1 << m
 p as (select w.reg, mask, product(case when (mask >> bit::int) & 1 = 1 then prob else 1 - prob end) as weight from w join g on g.reg = w.reg group by all),
 adj as (select w.reg, mask, src as a, dst as b from w join g on g.reg = w.reg where (mask >> bit::int) & 1 = 1 union all select w.reg, mask, dst, src from w join g on g.reg = w.reg where (mask >> bit::int) & 1 = 1),
 walk as (select {i0}reg, mask, a as u, a as v from (select distinct reg, mask, a from adj) union select {i1}r.reg, r.mask, u, adj.b from walk r join adj on adj.reg = r.reg and adj.mask = r.mask and adj.a = r.v {limit}),
-x as (select u, v, sum(weight) as prob from (select distinct reg, mask, u, v from walk) join p using (reg, mask) where u < v group by all)"""
+ex as (select u, v, sum(weight) as prob from (select distinct reg, mask, u, v from walk) join p using (reg, mask) where u < v group by all)"""
 
 
-@query(f"{_exact_sql(None)} select u, v, round(prob, 6) as prob from x")
+@query(f"{_exact_sql(None)} select u, v, round(prob, 6) as prob from ex")
 def conn_exact(spark, sf):
     return reliability.exact_pairs(graphs.nation(spark, sf)).withColumn("prob", F.round("prob", 6))
 
 
-@query(f"{_exact_sql(2)} select u, v, round(prob, 6) as prob from x")
+@query(f"{_exact_sql(2)} select u, v, round(prob, 6) as prob from ex")
 def conn_exact_depth2(spark, sf):
     return reliability.exact_pairs(graphs.nation(spark, sf), 2).withColumn("prob", F.round("prob", 6))
 
 
-@query(f"{_exact_sql(None)}, b as (select u, v, prob from x union all select v, u, prob from x) select p.u, p.v, q.v as z, round(o.prob - p.prob * q.prob, 5) as slack from b p join b q on p.v = q.u and p.u < q.v join b o on o.u = p.u and o.v = q.v")
+@query(f"{_exact_sql(None)}, b as (select u, v, prob from ex union all select v, u, prob from ex) select p.u, p.v, q.v as z, round(o.prob - p.prob * q.prob, 5) as slack from b p join b q on p.v = q.u and p.u < q.v join b o on o.u = p.u and o.v = q.v")
 def triangle_slack(spark, sf):
     return reliability.triangle_slack(cut(reliability.exact_pairs(graphs.nation(spark, sf)))).withColumn("slack", F.round("slack", 5))
 
@@ -386,10 +386,10 @@ def coverage_curve(spark, sf):
     return spark.createDataFrame(rows, "q double, uncovered long").withColumn("q", F.round("q", 6))
 
 
-_FIXED = "a as (select node, min(node) over (partition by node % 10) as center from v)"
+_FIXED = "fx as (select node, min(node) over (partition by node % 10) as center from v)"
 
 
-@query(f"{labels_sql()}, {HITS}, {_FIXED}, p as (select coalesce(hits, 0) / {R}.0::double as p_est from a left join h on u = a.node and v = center), r as (select p_est, row_number() over (order by p_est) as i, count(*) over () as n from p) select round(max(p_est * (n - i + 1) / n), 6) as value, round(avg(p_est), 6) as mean from r")
+@query(f"{labels_sql()}, {HITS}, {_FIXED}, p as (select coalesce(hits, 0) / {R}.0::double as p_est from fx a left join h on u = a.node and v = center), r as (select p_est, row_number() over (order by p_est) as i, count(*) over () as n from p) select round(max(p_est * (n - i + 1) / n), 6) as value, round(avg(p_est), 6) as mean from r")
 def avg_existence_window(spark, sf):
     e = supplier_graph(spark, sf)
     a = quality.to_centers(_fixed(e), cut(reliability.sampled_signatures(e, R)), R)
@@ -402,14 +402,14 @@ def _fixed(e: DataFrame) -> DataFrame:
     return n.join(n.groupBy((F.col("node") % 10).alias("d")).agg(F.min("node").alias("center")), F.col("node") % 10 == F.col("d")).select("node", "center")
 
 
-@query(f"{labels_sql()}, {HITS}, {_FIXED} select round(min(coalesce(hits, 0) / {R}.0::double), 6) as p_min, round(avg(coalesce(hits, 0) / {R}.0::double), 6) as p_avg from a left join h on u = a.node and v = center")
+@query(f"{labels_sql()}, {HITS}, {_FIXED} select round(min(coalesce(hits, 0) / {R}.0::double), 6) as p_min, round(avg(coalesce(hits, 0) / {R}.0::double), 6) as p_avg from fx a left join h on u = a.node and v = center")
 def p_min_avg(spark, sf):
     e = supplier_graph(spark, sf)
     return quality.p_min_avg(_fixed(e), cut(reliability.sampled_signatures(e, R)), R).select(F.round("p_min", 6).alias("p_min"), F.round("p_avg", 6).alias("p_avg"))
 
 
 @query(
-    f"{labels_sql()}, {HITS}, {_FIXED}, p as (select x.node as u, y.node as v, x.center = y.center as same from a x join a y on x.node < y.node), z as (select same, coalesce(hits, 0) / {R}.0::double as p from p left join h using (u, v)) select round(avg(p) filter (where same), 6) as inner_avpr, round(avg(p) filter (where not same), 6) as outer_avpr from z"
+    f"{labels_sql()}, {HITS}, {_FIXED}, p as (select x.node as u, y.node as v, x.center = y.center as same from fx x join fx y on x.node < y.node), z as (select same, coalesce(hits, 0) / {R}.0::double as p from p left join h using (u, v)) select round(avg(p) filter (where same), 6) as inner_avpr, round(avg(p) filter (where not same), 6) as outer_avpr from z"
 )
 def avpr(spark, sf):
     e = supplier_graph(spark, sf)
@@ -434,13 +434,13 @@ def pair_confusion(spark, sf):
     return quality.pair_confusion(a, t).withColumn("tpr", F.round("tpr", 6)).withColumn("fpr", F.round("fpr", 6))
 
 
-@query(f"with {GS}, {NODES}, {_FIXED}, i as (select sum(s * (s - 1) / 2) as inside from (select count(*) as s from a group by center)), c as (select sum(case when p.center = q.center then -prob else prob end) as cost from e join a p on src = p.node join a q on dst = q.node) select round(inside + cost, 4) as edit_distance from i, c")
+@query(f"with {GS}, {NODES}, {_FIXED}, i as (select sum(s * (s - 1) / 2) as inside from (select count(*) as s from fx group by center)), c as (select sum(case when p.center = q.center then -prob else prob end) as cost from e join fx p on src = p.node join fx q on dst = q.node) select round(inside + cost, 4) as edit_distance from i, c")
 def edit_distance(spark, sf):
     e = supplier_graph(spark, sf)
     return quality.expected_edit_distance(_fixed(e), e).select(F.round("edit_distance", 4).alias("edit_distance"))
 
 
-@query(f"with {GS}, {NODES}, {_FIXED}, s as (select count(*) as s from a group by center) select count(*) as clusters, min(s) as least, round(avg(s), 6) as mean, max(s) as largest, 0::bigint as outliers from s")
+@query(f"with {GS}, {NODES}, {_FIXED}, s as (select count(*) as s from fx group by center) select count(*) as clusters, min(s) as least, round(avg(s), 6) as mean, max(s) as largest, 0::bigint as outliers from s")
 def cluster_shape(spark, sf):
     return quality.shape(_fixed(supplier_graph(spark, sf))).withColumn("mean", F.round("mean", 6))
 
@@ -490,7 +490,7 @@ def random_centers(spark, sf):
 
 
 @query(
-    f"""{_exact_sql(None)}, b as (select u as c, v as node, prob as p from x union all select v, u, prob from x union all select node, node, 1.0 from v),
+    f"""{_exact_sql(None)}, b as (select u as c, v as node, prob as p from ex union all select v, u, prob from ex union all select node, node, 1.0 from v),
 s as (select a.c as c1, z.c as c2, coalesce(a.reg, z.reg) as reg, n.node, greatest(coalesce(p.p, 0), coalesce(q.p, 0)) as value from (select distinct c, n_regionkey as reg from b join nation on c = n_nationkey) a join (select distinct c, n_regionkey as reg from b join nation on c = n_nationkey) z on a.reg = z.reg and a.c < z.c join (select node, n_regionkey as reg from v join nation on node = n_nationkey) n on n.reg = a.reg left join b p on p.c = a.c and p.node = n.node left join b q on q.c = z.c and q.node = n.node)
 select reg::int as region, round(max(low), 6) as best_min, round(max(mean), 6) as best_avg from (select reg, c1, c2, min(value) as low, avg(value) as mean from s group by all) group by reg"""
 )
