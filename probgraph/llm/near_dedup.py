@@ -145,7 +145,7 @@ def star_pairs(rows: DataFrame, ratio: float) -> DataFrame:
     """Each member of a bucket with the bucket's largest one of its own partition and of the next."""
     part = F.floor(F.lit(STEPS) * F.log2(F.col("n")) + 1e-9).cast("int")
     rows = rows.withColumn("part", part)
-    best = F.max_by("node", F.struct("n", -F.col("node")))
+    best = F.max_by("node", F.struct("n", F.bitwise_not("node")))
     tops = rows.groupBy("key", "part").agg(best.alias("top"), F.collect_list(F.struct("n", "node")).alias("members"))
     up = Window.partitionBy("key").orderBy("part")
     tops = tops.withColumn("next", F.when(F.lead("part").over(up) == F.col("part") + 1, F.lead("top").over(up)))
@@ -227,7 +227,7 @@ def plausible(pairs: DataFrame, nodes: DataFrame, t: float, ratio: float) -> Dat
 
 def few_links(pairs: DataFrame) -> DataFrame:
     """For each node its largest partner and its most similar one: enough to link a group. Pairs left out here come up again in the second round unless their ends are linked by then."""
-    both = pairs.select("a", "b", "na", "nb", "j", F.col("a").alias("of"), F.struct("nb", -F.col("b")).alias("top")).unionByName(pairs.select("a", "b", "na", "nb", "j", F.col("b").alias("of"), F.struct(F.col("na").alias("nb"), -F.col("a")).alias("top")))
+    both = pairs.select("a", "b", "na", "nb", "j", F.col("a").alias("of"), F.struct("nb", F.bitwise_not("b")).alias("top")).unionByName(pairs.select("a", "b", "na", "nb", "j", F.col("b").alias("of"), F.struct(F.col("na").alias("nb"), F.bitwise_not("a")).alias("top")))
     pair = F.struct("a", "b", "na", "nb")
     best = both.groupBy("of").agg(F.max_by(pair, "top").alias("x"), F.max_by(pair, F.struct("j", "top")).alias("y"))
     return best.select(F.explode(F.array("x", "y")).alias("p")).select("p.*").distinct()
@@ -302,12 +302,12 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, ratio: float
     groups = components(found.filter(mutual))
     info = nodes.select("node", "doc", "text_key", "n")
     full = stage(info.join(groups, "node", "left").withColumn("group", F.coalesce("group", "node")))
-    best = F.max_by(F.struct("node", "n"), F.struct("n", -F.col("doc"), -F.col("text_key")))
+    best = F.max_by(F.struct("node", "n"), F.struct("n", F.bitwise_not("doc"), F.bitwise_not("text_key")))
     keeper = full.groupBy("group").agg(best.alias("k")).select("group", F.col("k.node").alias("keeper"), F.col("k.n").alias("kn"))
     # contained in a larger text of another group
     one_way = found.filter(~mutual & (F.col("shared") >= threshold * F.least("na", "nb")) & (F.least("na", "nb") >= least))
     one_way = one_way.select(F.when(F.col("na") < F.col("nb"), F.col("a")).otherwise(F.col("b")).alias("node"), F.when(F.col("na") < F.col("nb"), F.col("b")).otherwise(F.col("a")).alias("over"), F.greatest("na", "nb").alias("size"))
-    over = one_way.groupBy("node").agg(F.max_by("over", F.struct("size", -F.col("over"))).alias("over"))
+    over = one_way.groupBy("node").agg(F.max_by("over", F.struct("size", F.bitwise_not("over"))).alias("over"))
     whole = full.join(keeper, "group").join(over, "node", "left")
     # the text that stays for it: its group's, or if that is itself, the one it is contained in
     stays = F.when(F.col("keeper") != F.col("node"), F.col("keeper")).otherwise(F.col("over"))

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from probgraph.runtime import cut, fresh, small, stage
+from probgraph.runtime import cut, small, stage
 
 P = 6
 PRIOR = 40.0
@@ -199,11 +199,12 @@ def judged(docs: DataFrame, share: float = SHARE, min_rows: int = MIN_ROWS, quan
     Columns of these names give way."""
     docs = docs.drop("distance2", "rejected")
     keep = [c for c in docs.columns if c != "text"] if keep is None else keep
-    z, g, own = (fresh(docs, n) for n in ("stat_vector", "stat_group", "stat_own"))
+    z, g, own = "stat_vector", "stat_group", "stat_own"
+    inner = [f"c{i}" for i in range(len(keep))]  # names that nothing here clashes with
     lang = F.coalesce(F.col("lang").cast("string"), F.lit("\x00"))
     both = F.concat_ws("\x01", F.lit("s"), lang, F.coalesce(F.col("source").cast("string"), F.lit("\x00")))
-    slim = docs.withColumn(z, vectors(F.coalesce("text", F.lit("")))).withColumn(own, both).withColumn(g, F.concat_ws("\x01", F.lit("l"), lang))
-    slim = stage(slim.select(*keep, z, own, g))
+    slim = docs.select(*[F.col(f"`{c}`").alias(i) for c, i in zip(keep, inner)], vectors(F.coalesce("text", F.lit(""))).alias(z), both.alias(own), F.concat_ws("\x01", F.lit("l"), lang).alias(g))
+    slim = stage(slim)
     live = slim.filter(F.col(z).isNotNull())
     counts = live.groupBy(own, g).count()
     of = Window.partitionBy(g)
@@ -216,7 +217,7 @@ def judged(docs: DataFrame, share: float = SHARE, min_rows: int = MIN_ROWS, quan
     limit = chi2_quantile(quantile, P) * slack
     out = slim.join(found, F.col(own) == F.col("key"), "left")
     d = F.when(F.col(z).isNotNull(), distance(F.coalesce(F.col(z), F.array(*[F.lit(0.0)] * P)), F.coalesce("mean", F.array(*[F.lit(0.0)] * P)), F.coalesce("inverse", F.array(*[F.lit(0.0)] * (P * P)))))
-    return out.withColumn("distance2", F.round(d, 6)).withColumn("rejected", F.coalesce(F.col("distance2") > limit, F.lit(True))).select(*keep, "distance2", "rejected")
+    return out.withColumn("distance2", F.round(d, 6)).withColumn("rejected", F.coalesce(F.col("distance2") > limit, F.lit(True))).select(*[F.col(i).alias(c) for c, i in zip(keep, inner)], "distance2", "rejected")
 
 
 def kept(docs: DataFrame, **params) -> DataFrame:

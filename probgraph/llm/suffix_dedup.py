@@ -24,7 +24,8 @@ from probgraph.llm import passages
 from probgraph.llm.induced_sort import suffix_arrays
 from probgraph.llm.passages import LENGTH, NULL_DOC, OCCURRENCES, Shard, merged, named, occurrences, segments
 from probgraph.llm.text import Codes, grams, words
-from probgraph.runtime import fresh, shared_dir, stage
+from probgraph.runtime import cut as cut_
+from probgraph.runtime import fresh, shared_dir, small, stage
 
 BUDGET = 256 << 20
 
@@ -135,7 +136,8 @@ def without(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     spans = fresh(docs, "dup_spans")
     found = stage(duplicate_spans(docs, length)).groupBy("doc", "text_key").agg(F.array_sort(F.collect_list(F.struct("lo", "hi"))).alias("parts"))
     # one row a document id: its texts' spans by text key
-    found = found.groupBy(F.when(F.col("doc") != NULL_DOC, F.col("doc")).alias("dup_doc")).agg(F.collect_list(F.struct("text_key", "parts")).alias(spans))
+    doc = fresh(docs, "dup_doc")
+    found = small(cut_(found.groupBy(F.col("doc").alias(doc)).agg(F.collect_list(F.struct("text_key", "parts")).alias(spans))))
 
     def cut(parts: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
         codes = Codes()
@@ -143,14 +145,14 @@ def without(docs: DataFrame, length: int = LENGTH) -> DataFrame:
             yield pd.Series([_cut(t, f, codes) for t, f in zip(texts, found_)], dtype=object)
 
     udf = F.pandas_udf(cut, T.StringType(), F.PandasUDFType.SCALAR_ITER)
-    out = docs.join(found, docs.doc_id.cast("long").eqNullSafe(F.col("dup_doc")), "left")
-    hit = F.col(spans).isNotNull() & F.col("text").isNotNull()
+    marked = docs.withColumn(doc, F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC))).join(found, doc, "left")
+    sure = marked.filter(F.col(spans).isNull() | F.col("text").isNull())
     new = fresh(docs, "dup_text")
-    out = out.withColumn(new, udf(F.col("text"), F.col(spans)))
-    out = out.filter(~hit | F.col(new).isNotNull()).withColumn("text", F.when(hit, F.col(new)).otherwise(F.col("text")))
+    # only texts with spans go through Python
+    rest = marked.filter(F.col(spans).isNotNull() & F.col("text").isNotNull()).withColumn(new, udf(F.col("text"), F.col(spans))).filter(F.col(new).isNotNull())
     if "n_chars" in columns:
-        out = out.withColumn("n_chars", F.when(hit, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
-    return out.select(*columns)
+        rest = rest.withColumn("n_chars", F.when(F.col(new) == F.col("text"), F.col("n_chars")).otherwise(F.length(new).cast(docs.schema["n_chars"].dataType)))
+    return sure.select(columns).unionByName(rest.withColumn("text", F.col(new)).select(columns))
 
 
 def _cut(text: str | None, found, codes: Codes) -> str | None:
