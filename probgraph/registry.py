@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from probgraph.functions import edge_prob, harmonic, register
 from probgraph.operators import baselines, components, quality, reliability, worlds
@@ -551,7 +552,7 @@ def stream_interactions(spark, sf):
     interactions.split_by_hour(events, f"{base}/in")
     # a last event beyond the watermark closes the windows
     events.limit(1).withColumn("ts", F.lit("2100-01-01").cast("timestamp").cast(events.schema["ts"].dataType)).withColumn("event_type", F.lit("end")).write.parquet(f"{base}/in/part=9999")
-    stream = interactions.event_stream(spark, f"{base}/in", events.schema.add("part", "int"), 1)
+    stream = interactions.event_stream(spark, f"{base}/in", T.StructType([*events.schema.fields, T.StructField("part", T.IntegerType())]), 1)
     interactions.run_counts(interactions.grouped(stream), f"{base}/out", f"{base}/check")
     return interactions.counts(spark, f"{base}/out")
 

@@ -8,6 +8,7 @@ from fractions import Fraction
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from probgraph import registry
 from probgraph.functions import harmonic, needed, samples_avg, samples_min, samples_pair
@@ -263,7 +264,7 @@ def test_stream(spark, sf, tmp_path):
     interactions.split_by_hour(events, f"{tmp_path}/in", last=1)  # one early hour comes last: it is late and dropped
     end = events.limit(1).withColumn("ts", F.lit("2100-01-01").cast("timestamp").cast(events.schema["ts"].dataType)).withColumn("event_type", F.lit("end"))
     end.write.parquet(f"{tmp_path}/in/part=9999")
-    s = interactions.event_stream(spark, f"{tmp_path}/in", events.schema.add("part", "int"), 1)
+    s = interactions.event_stream(spark, f"{tmp_path}/in", T.StructType([*events.schema.fields, T.StructField("part", T.IntegerType())]), 1)
     q = interactions.run_counts(interactions.grouped(s), f"{tmp_path}/out", f"{tmp_path}/check")
     late = events.withColumn("hour", F.date_trunc("hour", "ts"))
     second = late.select("hour").distinct().orderBy("hour").collect()[1].hour
