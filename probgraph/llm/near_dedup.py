@@ -10,8 +10,8 @@ pair counts if the banding of its two partitions has that band. Every text is a
 
 Big groups: equal sets are one node. A first round checks each member of a bucket against the bucket's largest member of its own and the
 next partition only, and joins what is confirmed; the second round takes all pairs of a bucket that are not yet in one group. So a group
-of thousands costs no quadratic number of checks, and no pair of different groups is left out. Candidates whose signatures put them far (4 standard
-errors) under their threshold are dropped; the rest are checked exactly, set against set (32-bit shingle hashes).
+of thousands costs no quadratic number of checks, and no pair of different groups is left out. Candidates whose signatures put them far under their threshold (as one in 30,000
+of those at it would be) are dropped; the rest are checked exactly, set against set (32-bit shingle hashes).
 
 Groups: texts that are near duplicates of each other in both directions are linked, and linked texts are one group; the largest set, then
 the lowest doc_id, stays. A text that is only contained in a larger one is dropped for it, but doesn't link the larger one to others.
@@ -198,8 +198,34 @@ def all_pairs(rows: DataFrame, t: float, ratio: float, recall: float) -> DataFra
     return many.mapInArrow(pairs, PAIRS).distinct()  # the window has put each bucket in one partition
 
 
-def plausible(pairs: DataFrame, nodes: DataFrame, t: float, ratio: float) -> DataFrame:
-    """Pairs (a, b, na, nb, j) that the last 8 bits of the signatures' hashes don't rule out. Other hashes agree there in one of 256."""
+#: A pair at its threshold is ruled out by its signatures with at most this probability (that of 4 standard errors of a normal variable).
+MISS = 3.2e-5
+
+
+@cache
+def least_agreement() -> list[int]:
+    """For Jaccard similarities of 0, 0.001, ..., 1: the most agreeing hashes that still leave a probability of at most MISS of fewer."""
+    out = []
+    for i in range(1001):
+        p, c, below = i / 1000, 0, 0.0
+        while c <= HASHES:
+            below += math.comb(HASHES, c) * p**c * (1 - p) ** (HASHES - c)
+            if below > MISS:
+                break
+            c += 1
+        out.append(c)
+    return out
+
+
+def agreeing(jaccard) -> F.Column:
+    return F.element_at(F.lit(least_agreement()), F.floor(F.least(jaccard, F.lit(1.0)) * 1000).cast("int") + 1)
+
+
+def plausible(pairs: DataFrame, nodes: DataFrame, t: float, ratio: float, settled: DataFrame | None = None) -> DataFrame:
+    """Pairs (a, b, na, nb, j) that the last 8 bits of the signatures' hashes don't rule out. Other hashes agree there in one of 256.
+
+    settled: nodes that their group drops already. That such a node is also contained in a larger one changes nothing: for its pairs
+    with larger nodes only being near duplicates both ways counts."""
     import pandas as pd
     from pyspark.sql import types as T
 
@@ -216,12 +242,16 @@ def plausible(pairs: DataFrame, nodes: DataFrame, t: float, ratio: float) -> Dat
                 yield pd.Series([], dtype=float)
                 continue
             a, b = (np.frombuffer(b"".join(map(bytes, s)), np.uint8).reshape(-1, HASHES) for s in (x, y))
-            yield pd.Series((a == b).mean(axis=1))
+            yield pd.Series((a == b).sum(axis=1).astype(np.int32))
 
-    near = F.pandas_udf(agreement, T.DoubleType(), F.PandasUDFType.SCALAR_ITER)
+    near = F.pandas_udf(agreement, T.IntegerType(), F.PandasUDFType.SCALAR_ITER)
     low, high = F.least("na", "nb"), F.greatest("na", "nb")
-    need = t * low / (low + high - t * low)
-    both = both.withColumn("j", near("sa", "sb")).filter(F.col("j") >= need - 4 * F.sqrt(need * (1 - need) / HASHES))
+    both = both.withColumn("j", near("sa", "sb")).filter(F.col("j") >= agreeing(t * low / (low + high - t * low)))
+    if settled is not None:
+        smaller = F.when(F.col("na") < F.col("nb"), F.col("a")).when(F.col("na") > F.col("nb"), F.col("b"))
+        both = both.withColumn("smaller", smaller).join(settled.select(F.col("node").alias("smaller"), F.lit(True).alias("gone")), "smaller", "left")
+        mutual = (low >= t * high) & (F.col("j") >= agreeing(t * high / (low + high - t * high)))
+        both = both.filter(F.col("gone").isNull() | F.coalesce(mutual, F.lit(False)))
     return both.select("a", "b", "na", "nb", "j")
 
 
@@ -296,13 +326,15 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, ratio: float
     stars = star_pairs(band_rows(nodes.withColumn("group", F.col("node")), narrow), ratio)
     first = stage(checked(stage(few_links(plausible(stars, nodes, threshold, ratio))), docs, nodes))
     grouped = small(cut(components(first.filter(mutual))), ID_ROWS)
+    best = F.max_by(F.struct("node", "n"), F.struct("n", F.bitwise_not("doc"), F.bitwise_not("text_key")))
+    in_group = nodes.select("node", "doc", "text_key", "n").join(grouped, "node")
+    settled = small(cut(in_group.select("node").join(in_group.groupBy("group").agg(best.alias("k")).select("k.node"), "node", "left_anti")), ID_ROWS)
     rows = band_rows(nodes.join(grouped, "node", "left").withColumn("group", F.coalesce("group", "node")), most)
-    second = stage(checked(stage(plausible(all_pairs(rows, threshold, ratio, recall), nodes, threshold, ratio).drop("j")), docs, nodes))
+    second = stage(checked(stage(plausible(all_pairs(rows, threshold, ratio, recall), nodes, threshold, ratio, settled).drop("j")), docs, nodes))
     found = first.unionByName(second)
     groups = components(found.filter(mutual))
     info = nodes.select("node", "doc", "text_key", "n")
     full = stage(info.join(groups, "node", "left").withColumn("group", F.coalesce("group", "node")))
-    best = F.max_by(F.struct("node", "n"), F.struct("n", F.bitwise_not("doc"), F.bitwise_not("text_key")))
     keeper = full.groupBy("group").agg(best.alias("k")).select("group", F.col("k.node").alias("keeper"), F.col("k.n").alias("kn"))
     # contained in a larger text of another group
     one_way = found.filter(~mutual & (F.col("shared") >= threshold * F.least("na", "nb")) & (F.least("na", "nb") >= least))
