@@ -61,6 +61,11 @@ def samples_avg(n: int, q: float, eps: float, gamma: float = 0.1, p_floor: float
     return math.ceil(12 / (q**3 * eps * eps) * math.log(2 * n**3 * _guesses(harmonic(n) / p_floor, gamma)))
 
 
+def samples_free(n: int, q: float, eps: float, attempt: int, delta: float = 0.05) -> int:
+    """Worlds for the attempt-th guess (from 1) when no floor is given: the attempts' failure probabilities delta / (2 i^2) add up to less than delta."""
+    return math.ceil(12 / (q * eps * eps) * math.log(2 * n * n * 2 * attempt * attempt / delta))
+
+
 def register(spark: SparkSession) -> None:
     """SQL functions, inlined by the optimizer."""
     for text in (

@@ -8,18 +8,25 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from probgraph.functions import edge_prob
+from probgraph.runtime import cut, small
 from probgraph.sources import table
 
-#: An event shared by more members than this gives pairs by one member's hash salt, in this many parts.
-SALT = 8
+#: Events of more members than HOT are spread over SALT parts.
+HOT, SALT = 2000, 8
 
 
 def pairs(members: DataFrame, event: str, member: str) -> DataFrame:
-    """(src, dst, x): how many events two members share. Hot events are spread: each of a member's rows meets one part of the others."""
+    """(src, dst, x): how many events two members share. In a hot event each member's row meets one part of the others at a time."""
     m = members.select(F.col(event).alias("g"), F.col(member).cast("long").alias("m")).distinct()
-    left = m.withColumn("part", F.explode(F.array(*[F.lit(i) for i in range(SALT)])))
-    right = m.withColumn("part", F.pmod(F.xxhash64("m"), F.lit(SALT)).cast("int"))
-    both = left.select("g", "part", F.col("m").alias("src")).join(right.select("g", "part", F.col("m").alias("dst")), ["g", "part"]).filter("src < dst")
+    hot = cut(m.groupBy("g").count().filter(F.col("count") > HOT).select("g", F.lit(True).alias("hot")))
+    if hot.isEmpty():
+        both = m.withColumnRenamed("m", "src").join(m.withColumnRenamed("m", "dst"), "g").filter("src < dst")
+    else:
+        m = m.join(small(hot), "g", "left")
+        parts = F.when(F.col("hot"), F.sequence(F.lit(0), F.lit(SALT - 1))).otherwise(F.array(F.lit(0)))
+        left = m.withColumn("part", F.explode(parts)).select("g", "part", F.col("m").alias("src"))
+        right = m.withColumn("part", F.when(F.col("hot"), F.pmod(F.xxhash64("m"), F.lit(SALT)).cast("int")).otherwise(F.lit(0))).select("g", "part", F.col("m").alias("dst"))
+        both = left.join(right, ["g", "part"]).filter("src < dst")
     return both.groupBy("src", "dst").agg(F.count("*").alias("x"))
 
 

@@ -115,6 +115,20 @@ def test_estimates_and_sizes(spark):
     assert [round(x, 9) for x in guess.practical(0.1, 1e-4)] == [0.9, 0.8, 0.6, 0.2, 1e-4]
 
 
+def test_without_floor(spark, path4):
+    m = cluster_min(path4, 2, schedule="geometric", sampling="free", order="id")
+    assert m.status == "full" and set(m.centers) & {1, 2} and set(m.centers) & {3, 4}
+    r = [t["r"] for t in m.trace]
+    assert r == sorted(r)
+
+
+def test_hot_events(spark, monkeypatch):
+    df = spark.createDataFrame([(e, m) for e in range(4) for m in range(3 + 5 * e)], "e long, m long")
+    plain = rows(graphs.pairs(df, "e", "m"))
+    monkeypatch.setattr(graphs, "HOT", 9)
+    assert rows(graphs.pairs(df, "e", "m")) == plain
+
+
 def test_worked_example(spark, path4):
     x = Exact(path4)
     c = threshold_cover(x, 2, 0.9, order="id", pad="first")
