@@ -16,7 +16,7 @@ def event_stream(spark: SparkSession, path: str, schema, max_files: int = 24) ->
 
 def grouped(events: DataFrame, size: str = "5 minutes", slide: str | None = None, session_gap: str | None = None, late: str = "30 minutes", distinct_ids: bool = False) -> DataFrame:
     """(w, event_type, users): tumbling, sliding or session windows with a watermark; later rows are dropped by Spark, and counted in the progress."""
-    e = events.withWatermark("ts", late)
+    e = events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late)
     if distinct_ids:
         e = e.dropDuplicatesWithinWatermark(["event_id"])
     w = F.session_window("ts", session_gap) if session_gap else F.window("ts", size, slide) if slide else F.window("ts", size)
@@ -47,8 +47,8 @@ def counts(spark: SparkSession, out: str) -> DataFrame:
 
 def interval_pairs(left: DataFrame, right: DataFrame, minutes: int = 5, late: str = "30 minutes") -> DataFrame:
     """Stream-stream join: two users' events of one kind at most so many minutes apart."""
-    a = left.select(F.col("ts").alias("ta"), F.col("user_id").alias("src"), F.col("event_type").alias("ka")).withWatermark("ta", late)
-    b = right.select(F.col("ts").alias("tb"), F.col("user_id").alias("dst"), F.col("event_type").alias("kb")).withWatermark("tb", late)
+    a = left.select(F.col("ts").cast("timestamp").alias("ta"), F.col("user_id").alias("src"), F.col("event_type").alias("ka")).withWatermark("ta", late)
+    b = right.select(F.col("ts").cast("timestamp").alias("tb"), F.col("user_id").alias("dst"), F.col("event_type").alias("kb")).withWatermark("tb", late)
     return a.join(b, F.expr(f"ka = kb and src < dst and tb between ta - interval {minutes} minutes and ta + interval {minutes} minutes")).select("src", "dst", "ta", "tb")
 
 
