@@ -29,6 +29,8 @@ from probgraph.llm.text import Codes, grams, mix, words
 
 MAX_EDIT, RECALL, SAMPLED, SLICE = 0.1, 0.98, 3, 20_000
 _LONGEST_SEED = 8
+#: Texts that are laid end to end at a time, to bound a task's memory.
+ROWS = 1000
 _TABLE = 22
 
 
@@ -202,7 +204,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, max_edit: float = MAX_E
     def found(shared):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             codes = Codes()
-            for b in batches:
+            for b in (x.slice(at, ROWS) for x in batches for at in range(0, x.num_rows, ROWS)):
                 out = shared.value.leaks([words(t.as_py(), codes) for t in b.column(1)])
                 row, *cols = list(zip(*out)) if out else [(), (), (), (), ()]
                 yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(row, pa.int64())), pa.array(cols[0], pa.int64()), *[pa.array(c, pa.int32()) for c in cols[1:]]], names=["doc_id", "item_id", "start_word", "end_word", "edits"])
@@ -225,7 +227,8 @@ def clean(docs: DataFrame, benchmark: DataFrame, max_edit: float = MAX_EDIT, rec
             codes = Codes()
             for texts in parts:
                 hit = np.zeros(len(texts), bool)
-                hit[[x[0] for x in shared.value.leaks([words(t, codes) for t in texts])]] = True
+                for at in range(0, len(texts), ROWS):
+                    hit[[at + x[0] for x in shared.value.leaks([words(t, codes) for t in texts[at : at + ROWS]])]] = True
                 yield pd.Series(hit)
 
         udf = F.pandas_udf(leaking, T.BooleanType(), F.PandasUDFType.SCALAR_ITER)

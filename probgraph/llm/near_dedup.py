@@ -102,7 +102,7 @@ def sketches(docs: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codes = Codes()
-        for b in batches:
+        for b in (x.slice(at, 500) for x in batches for at in range(0, x.num_rows, 500)):
             rows = []
             for doc, text in zip(b.column(0).to_pylist(), b.column(1)):
                 code = words(text.as_py(), codes)
@@ -273,7 +273,7 @@ def checked(pairs: DataFrame, docs: DataFrame, nodes: DataFrame) -> DataFrame:
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codes = Codes()
-        for b in batches:
+        for b in (x.slice(at, 500) for x in batches for at in range(0, x.num_rows, 500)):
             found = [words(t.as_py(), codes) for t in b.column(1)]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([text_key(c) for c in found], pa.int64()), pa.array([shingles(c).tobytes() for c in found], pa.binary())], names=["doc", "text_key", "shingles"])
 

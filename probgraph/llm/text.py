@@ -12,7 +12,7 @@ import xxhash
 
 _DROP = re.compile(r"[\W_]+")
 #: Cached words of a Python worker; beyond it the cache starts anew. Results don't depend on it.
-CACHE = 1_000_000
+CACHE = 150_000
 
 
 class Codes(dict):
