@@ -520,12 +520,28 @@ def compare_methods(spark, sf):
     return workloads.compare("supplier", graphs.supplier(spark, sf), [1.5], r_eval=200)
 
 
+DEPTHS, K_SHARE = [2, 3, 4, 6, 8], 0.214
+
+
+def _predict(name: str, edges: DataFrame, truth: DataFrame) -> DataFrame:
+    """Prediction on a whole graph; fewer clusters than components can't be formed."""
+    e = cut(edges)
+    k = max(2, int(K_SHARE * components.nodes(e).count()), components.label_support(e).select("label").distinct().count())
+    return workloads.predict(name, e, truth, DEPTHS, k, r="progressive")
+
+
 @query()
 def predict_copies(spark, sf):
+    """Exact copies from the overlap of documents."""
     d = table(spark, sf, "documents", ["doc_id", "text"])
-    e = cut(components.largest(graphs.doc_overlap(spark, sf)))
-    k = max(2, int(0.214 * components.nodes(e).count()))
-    return workloads.predict("doc_overlap", e, d.select(F.col("doc_id").alias("node"), F.md5("text").alias("grp")), [2, 4], k, r=R)
+    return _predict("doc_overlap", graphs.doc_overlap(spark, sf), d.select(F.col("doc_id").alias("node"), F.md5("text").alias("grp")).filter("grp is not null"))
+
+
+@query()
+def predict_labels(spark, sf):
+    """Negative control: labels that have nothing to do with the embeddings' neighbours."""
+    truth = table(spark, sf, "embeddings", ["vec_id", "label"])
+    return _predict("knn", graphs.knn(spark, sf), truth.select(F.col("vec_id").alias("node"), F.col("label").alias("grp")))
 
 
 @query()

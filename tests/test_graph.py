@@ -323,3 +323,16 @@ def test_workloads(spark, sf):
     assert workloads.time_vs_k("supplier", e, [2], max_entries=4).filter("value = -1").count() == 1
     assert workloads.choose_by_avpr(rep).count() == 1
     assert workloads.rollup(rep).count() > 0
+
+
+def test_prediction_covers_the_whole_graph(spark, monkeypatch):
+    """Copies in a small component are pairs to be found, at every depth; k is at least the number of components."""
+    big, copies = [(i, i + 1, 0.6) for i in range(1, 6)], [(20, 21, 1.0), (21, 22, 1.0), (20, 22, 1.0), (30, 31, 1.0)]
+    truth = spark.createDataFrame([(n, "a") for n in (20, 21, 22)] + [(30, "b"), (31, "b")], "node long, grp string")
+    got = {}
+    monkeypatch.setattr(workloads, "predict", lambda name, edges, truth, depths, k, **params: got.update(edges=edges, depths=depths, k=k, **params))
+    registry._predict("g", edges_of(spark, big + copies), truth)
+    assert got["k"] == 3 and got["depths"] == [2, 3, 4, 6, 8] and got["r"] == "progressive"
+    c = quality.pair_confusion(baselines.pivot_star(got["edges"]), truth).first()
+    assert c.tp == 4 and c.fn == 0
+    assert "predict_labels" in registry.QUERIES
