@@ -1,18 +1,23 @@
 """Operator 9: license scan by conditional compression.
 
-A candidate block is a line that names a license, alone and with the lines after it up to the longest template's number of lines. Each block is compressed by
+A candidate block is a run of lines around one that names a license, with lines before and after it as far as the longest template's words reach, one to a
+line; lines without words don't count. Blocks that lack too many of every template's words to be confirmed are left out, each other one is compressed by
 zstandard alone and with every template as raw dictionary; templates are ranked by the relative size reduction, and the
 winner is confirmed if the wording differs from the template's by at most ``max_diff`` of its words, none of them a key word of the template.
 Every template has one of ``TRIGGERS`` among its key words, so the line filter, which runs in generated code before any Python, loses nothing that could be confirmed.
 
-Result: one row per confirmed line: doc_id, line (from 0), license, reduction, n_diff, diff (``-word +word``). Of blocks that start at a line the one with the largest
-reduction counts; ties go to the template named first. Null and empty texts have no lines. Repeated rows give repeated results."""
+Result: one row per confirmed notice: doc_id, line where it begins (from 0), license, reduction, n_diff, diff (``-word +word``). A block counts if its first and last
+line hold words of the notice. Of blocks whose notices share words the one with the fewest differences counts, then the one with the largest reduction, and so of
+notices that begin on one line; ties go to the template named first. Null and empty texts have no lines. Repeated rows give repeated results."""
 
 from __future__ import annotations
 
 import difflib
+import math
 import re
+from collections import Counter
 from collections.abc import Iterator
+from itertools import accumulate
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -62,6 +67,9 @@ class Scanner:
 
         self.templates, self.max_diff = templates, max_diff
         self.words = {k: wording(t) for k, (t, _) in templates.items()}
+        self.bags = {k: Counter(w) for k, w in self.words.items()}
+        # words of the notice on one side of a line, those put in among them
+        self.reach = math.ceil((1 + max_diff) * max(map(len, self.words.values())))
         self.plain = z.ZstdCompressor(level=LEVEL)
         self.given = {k: z.ZstdCompressor(level=LEVEL, dict_data=z.ZstdCompressionDict(t.encode(), dict_type=z.DICT_TYPE_RAWCONTENT)) for k, (t, _) in templates.items()}
         self.seen: dict[str, tuple | None] = {}
@@ -88,23 +96,54 @@ class Scanner:
         self.seen[text] = found
         return found
 
+    def possible(self, have: Counter) -> bool:
+        """Whether a block of these words can be confirmed for any template."""
+        return any(sum(min(n, have[w]) for w, n in bag.items()) >= (1 - self.max_diff) * sum(bag.values()) - 1e-9 for bag in self.bags.values())
+
     def lines(self, text: str) -> list[tuple[int, str, float, int, str]]:
         rows = text.split("\n")
-        out = []
         named = re.compile(_FILTER)
-        for i, line in enumerate(rows):
-            if not named.search(line):
+        triggers = {i for i, line in enumerate(rows) if named.search(line)}
+        if not triggers:
+            return []
+        of = {i: w for i, line in enumerate(rows) if (w := wording(line))}
+        full = sorted(of)
+        began = dict(zip(full, [0, *accumulate(len(of[i]) for i in full)]))
+        runs = set()
+        for at, i in enumerate(full):
+            if i not in triggers:
                 continue
-            best = None
-            for upto in range(1, 4):  # a notice may be broken over lines
-                if upto > 1 and i + upto > len(rows):
+            first, before = at, 0
+            while True:
+                last, after = at, 0
+                while True:
+                    runs.add((full[first], full[last]))
+                    last += 1
+                    if last == len(full) or after >= self.reach:
+                        break
+                    after += len(of[full[last]])
+                first -= 1
+                if first < 0 or before >= self.reach:
                     break
-                got = self.block("\n".join(rows[i : i + upto]))
-                if got and (best is None or got[2] < best[2] or got[2] == best[2] and got[0] > best[0]):
-                    best = got
-            if best:
-                out.append((i, best[1], best[0], best[2], best[3]))
-        return out
+                before += len(of[full[first]])
+        found = []
+        for s, e in runs:
+            have = [w for i in range(s, e + 1) for w in of.get(i, ())]
+            if not self.possible(Counter(have)):
+                continue
+            got = self.block("\n".join(rows[s : e + 1]))
+            if not got:
+                continue
+            same = [m for m in difflib.SequenceMatcher(None, self.words[got[1]], have, autojunk=False).get_matching_blocks() if m.size]
+            x, y = same[0].b, same[-1].b + same[-1].size
+            if x < len(of[s]) and y > len(have) - len(of[e]):
+                found.append((got[2], -got[0], e - s, s, began[s] + x, began[s] + y, got))
+        taken, out = [], {}
+        for *_, s, x, y, got in sorted(found, key=lambda f: f[:5]):
+            if all(y <= a or b <= x for a, b in taken):
+                taken.append((x, y))
+                out.setdefault(s, (s, got[1], got[0], got[2], got[3]))
+        return [out[s] for s in sorted(out)]
 
 
 def license_scan(docs: DataFrame, templates: dict[str, tuple[str, tuple[str, ...]]] = TEMPLATES, max_diff: float = MAX_DIFF) -> DataFrame:

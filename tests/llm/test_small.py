@@ -77,6 +77,20 @@ def test_licenses(spark, docs, none):
     assert {(r.doc_id, r.line, r.license) for r in licenses.license_scan(d).collect()} == {(1, 1, "mit-notice"), (2, 0, "apache-2.0-notice"), (4, 0, "gpl-2.0-notice")}
 
 
+def test_wrapped_licenses():
+    """Every template is found once, at its first line, at each width; words before and after it don't matter."""
+    import textwrap
+
+    scanner = licenses.Scanner()
+    for name, (wording, _) in licenses.TEMPLATES.items():
+        for width in (1, 12, 20, 30, 40, 50, 60, 72, 400):
+            lines = textwrap.wrap(wording, width, break_long_words=False)
+            got = scanner.lines("\n".join(["my license to drive", "", prose(9), *["# " + x for x in lines], prose(9)]))
+            assert [(g[0], g[1], g[3]) for g in got] == [(3, name, 0)], (name, width)
+    assert [g[:2] for g in scanner.lines("Licensed under CC BY 4.0. Released under the\n\nMIT License.")] == [(0, "cc-by-4.0-notice")]
+    assert [g[:2] for g in scanner.lines("Released under the\nMIT License. Licensed under\nCC BY 4.0.")] == [(0, "mit-notice"), (1, "cc-by-4.0-notice")]
+
+
 def test_decontamination(spark, docs, none):
     item = prose(40).split()
     edited = item[:10] + ["zzz"] + item[11:20] + item[21:]
