@@ -520,6 +520,12 @@ def compare_methods(spark, sf):
     return workloads.compare("supplier", graphs.supplier(spark, sf), [1.5], r_eval=200)
 
 
+@query()
+def graph_doc_overlap_whole(spark, sf):
+    """The overlap of documents over all 3-grams, however many documents have them."""
+    return graphs.doc_overlap(spark, sf, high=None)
+
+
 DEPTHS, K_SHARE = [2, 3, 4, 6, 8], 0.214
 
 
@@ -534,7 +540,7 @@ def _predict(name: str, edges: DataFrame, truth: DataFrame) -> DataFrame:
 def predict_copies(spark, sf):
     """Exact copies from the overlap of documents."""
     d = table(spark, sf, "documents", ["doc_id", "text"])
-    return _predict("doc_overlap", graphs.doc_overlap(spark, sf), d.select(F.col("doc_id").alias("node"), F.md5("text").alias("grp")).filter("grp is not null"))
+    return _predict("doc_overlap", graphs.doc_overlap(spark, sf, high=None), d.select(F.col("doc_id").alias("node"), F.md5("text").alias("grp")).filter("grp is not null"))
 
 
 @query()

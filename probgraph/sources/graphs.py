@@ -82,20 +82,32 @@ def user(spark: SparkSession, sf: str) -> DataFrame:
     return by_count(user_counts(table(spark, sf, "events", ["ts", "user_id", "event_type"])))
 
 
-def doc_overlap(spark: SparkSession, sf: str, low: int = 2, high: int = 50, least: float = 0.05) -> DataFrame:
-    """Documents by the Jaccard similarity of their word 3-grams, over the 3-grams that ``low`` to ``high`` documents have."""
+def doc_overlap(spark: SparkSession, sf: str, low: int = 2, high: int | None = 50, least: float = 0.05) -> DataFrame:
+    """Documents by the Jaccard similarity of their word 3-grams, over the 3-grams that ``low`` to ``high`` documents have.
+
+    high None: over all 3-grams. Documents of equal sets are one while 3-grams are counted, so that copies cost no more than their own edges."""
     # zipped with its own shifts: the words are found once a text, not once a 3-gram
     w = F.regexp_extract_all(F.lower("text"), F.lit(r"(\S+)"))
     join = lambda a, b: F.concat_ws(" ", a, b)
     three = F.zip_with(F.zip_with("w", F.expr("slice(w, 2, greatest(size(w), 1))"), join), F.expr("slice(w, 3, greatest(size(w), 1))"), join)
     grams = F.when(F.size("w") < 3, F.array(F.array_join("w", " "))).otherwise(F.slice(three, F.lit(1), F.size("w") - 2))
     s = table(spark, sf, "documents", ["doc_id", "text"]).filter("text is not null").withColumn("w", w).select("doc_id", F.array_distinct(grams).alias("s"))
+    if high is None:
+        alike = s.select("doc_id", F.sha2(F.concat_ws("\n", F.array_sort("s")), 256).alias("set"))
+        heads = cut(alike.withColumn("head", F.min("doc_id").over(Window.partitionBy("set"))).select("doc_id", "head"))
+        s = s.join(heads.filter("doc_id = head").select("doc_id"), "doc_id", "left_semi")
     n = s.select("doc_id", F.size("s").alias("n"))
     one = s.select("doc_id", F.explode("s").alias("g")).select("doc_id", F.xxhash64("g").alias("g"))
-    rare = one.groupBy("g").count().filter(F.col("count").between(low, high)).select("g")
+    rare = one.groupBy("g").count().filter(F.col("count") >= 2 if high is None else F.col("count").between(low, high)).select("g")
     shared = pairs(one.join(rare, "g"), "g", "doc_id")
     j = shared.join(n.select(F.col("doc_id").alias("src"), F.col("n").alias("na")), "src").join(n.select(F.col("doc_id").alias("dst"), F.col("n").alias("nb")), "dst")
-    return j.withColumn("p", F.col("x") / (F.col("na") + F.col("nb") - F.col("x"))).filter(F.col("p") >= least).select("src", "dst", F.round("p", 6).alias("prob"))
+    e = j.withColumn("p", F.col("x") / (F.col("na") + F.col("nb") - F.col("x"))).filter(F.col("p") >= least).select("src", "dst", F.round("p", 6).alias("prob"))
+    if high is not None:
+        return e
+    one, two = (heads.select(F.col("head").alias(end), F.col("doc_id").alias(c)) for end, c in (("src", "a"), ("dst", "b")))
+    far = e.join(one, "src").join(two, "dst").select("a", "b", "prob")
+    same = one.join(two.withColumnRenamed("dst", "src"), "src").filter("a < b").select("a", "b", F.lit(1.0).alias("prob"))
+    return far.unionByName(same).select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst"), "prob")
 
 
 def knn(spark: SparkSession, sf: str, k: int = 5, block: int = 4000) -> DataFrame:

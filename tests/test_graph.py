@@ -336,3 +336,17 @@ def test_prediction_covers_the_whole_graph(spark, monkeypatch):
     c = quality.pair_confusion(baselines.pivot_star(got["edges"]), truth).first()
     assert c.tp == 4 and c.fn == 0
     assert "predict_labels" in registry.QUERIES
+
+
+def test_overlap_counts_frequent_grams(spark, tmp_path):
+    """Groups of more than 50 copies and 3-grams that more than 50 documents have, against brute force."""
+    r = random.Random(4)
+    word = lambda n: " ".join(f"w{r.randint(0, 10**6)}" for _ in range(n))
+    copy, notice = word(12), word(5)
+    docs = [(i, copy if i < 60 else None if i == 60 else notice + " " + word(4) + (" x y" if i % 2 else "")) for i in range(120)] + [(120, copy + " and more"), (121, "one"), (122, "ONE")]
+    spark.createDataFrame(docs, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    sets = {i: {" ".join(w[j : j + 3]) for j in range(max(1, len(w) - 2))} for i, t in docs if t is not None for w in [t.lower().split()]}
+    j = {(a, b): len(sets[a] & sets[b]) / len(sets[a] | sets[b]) for a, b in itertools.combinations(sorted(sets), 2)}
+    got = {(x.src, x.dst): x.prob for x in graphs.doc_overlap(spark, str(tmp_path), high=None).collect()}
+    assert got == {k: round(v, 6) for k, v in j.items() if v >= 0.05} and len(got) > 60 * 59 / 2
+    assert (0, 1) not in {(x.src, x.dst) for x in graphs.doc_overlap(spark, str(tmp_path)).collect()}
