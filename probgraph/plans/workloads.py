@@ -77,7 +77,7 @@ def time_vs_k(name: str, edges: DataFrame, ks: list[int], seed: int = SEED, max_
             began = time.time()
             try:
                 if method == "flow":
-                    baselines.markov_flow(edges, 1.3, max_entries=max_entries).count()
+                    baselines.markov_flow_for_k(edges, k, max_entries=max_entries)[1].count()
                 else:
                     run_method(method, edges, k, seed).count()
                 rows.append((name, method, k, None, seed, "millis", 1000 * (time.time() - began)))

@@ -350,3 +350,10 @@ def test_overlap_counts_frequent_grams(spark, tmp_path):
     got = {(x.src, x.dst): x.prob for x in graphs.doc_overlap(spark, str(tmp_path), high=None).collect()}
     assert got == {k: round(v, 6) for k, v in j.items() if v >= 0.05} and len(got) > 60 * 59 / 2
     assert (0, 1) not in {(x.src, x.dst) for x in graphs.doc_overlap(spark, str(tmp_path)).collect()}
+
+
+def test_flow_is_bisected_to_each_k(path4, monkeypatch):
+    asked = []
+    monkeypatch.setattr(workloads, "run_method", lambda method, edges, k, seed: edges)
+    monkeypatch.setattr(baselines, "markov_flow_for_k", lambda edges, k, **params: asked.append(k) or (2.0, edges))
+    assert workloads.time_vs_k("path", path4, [2, 3]).count() == 6 and asked == [2, 3]
