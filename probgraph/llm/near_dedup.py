@@ -1,12 +1,16 @@
 """Operator 5: MinHash near-dedup by a containment ensemble.
 
 A text is the set of its word 3-grams (all its words as one, if fewer). Q is a near duplicate of X if |Q| <= |X| <= ``ratio`` |Q| and X holds at
-least ``threshold`` of Q's shingles.
+least ``threshold`` of Q's shingles. By default there is no ``ratio``: a text wholly held by one a thousand times its size is a near duplicate.
 
 Ensemble: texts are partitioned by the size of their set, four partitions a doubling. Between a query's partition and an
 index partition the containment threshold becomes the Jaccard threshold t / (u/q + 1 - t) for the largest size u and the least q they allow, and
 its banding (rows a band, number of bands) is the most selective one of recall ``recall`` at that threshold. A text sends each of its bands once; a bucket's
-pair counts if the banding of its two partitions has that band. Every text is a query against every partition.
+pair counts if the banding of its two partitions has that band.
+
+Sets more than ``NEAR`` times as large have too low a Jaccard threshold for bands (hundreds of hashes of one row each), so there the query's ``FEW`` least
+hashed shingles are looked up in all larger sets: each of them is in X with probability ``threshold`` at least, and the number found has to be one that a
+pair at the threshold falls short of with probability 1 - ``recall`` at most. So every text is a query against every partition.
 
 Big groups: equal sets are one node. A first round checks each member of a bucket against the bucket's largest member of its own and the
 next partition only, and joins what is confirmed; the second round takes all pairs of a bucket that are not yet in one group. So a group
@@ -22,8 +26,11 @@ Rows equal in doc_id and words are one text, of which one row stays; so do, of r
 from __future__ import annotations
 
 import math
+import shutil
+import uuid
 from collections.abc import Iterator
 from functools import cache
+from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
@@ -33,9 +40,11 @@ from pyspark.sql import functions as F
 
 from probgraph.llm.passages import NULL_DOC, text_key
 from probgraph.llm.text import Codes, grams, mix, words
-from probgraph.runtime import cut, fresh, small, stage
+from probgraph.runtime import cut, fresh, shared_dir, small, stage
 
-SHINGLE, HASHES, THRESHOLD, RATIO, RECALL, LEAST = 3, 96, 0.7, 2.5, 0.95, 10
+SHINGLE, HASHES, THRESHOLD, RATIO, RECALL, LEAST = 3, 96, 0.7, math.inf, 0.95, 10
+#: Sizes up to NEAR times apart meet by bands, others by FEW shingles of the smaller set, FEW_NODES sets a file.
+NEAR, FEW, FEW_NODES = 2.5, 12, 500_000
 STEPS = 4  # partitions a doubling
 
 
@@ -59,21 +68,40 @@ def signature(s: np.ndarray) -> np.ndarray:
     return out
 
 
+def few(s: np.ndarray) -> np.ndarray:
+    """The shingles of least hash, the same for equal sets."""
+    return s[np.argsort(mix(s.astype(np.uint64) ^ np.uint64(0x5EED)), kind="stable")[:FEW]].view(np.int32)
+
+
+@cache
+def least_found(n: int, t: float = THRESHOLD, recall: float = RECALL) -> int:
+    """How many of the few shingles of a set of n have to be in a set that holds t of it."""
+    if n <= FEW:
+        return math.ceil(t * n - 1e-9)
+    c, below = 0, 0.0
+    while c < FEW:
+        below += math.comb(FEW, c) * t**c * (1 - t) ** (FEW - c)
+        if below > 1 - recall:
+            break
+        c += 1
+    return max(c, 1)
+
+
 def partition(n: np.ndarray | int) -> np.ndarray:
     return np.floor(STEPS * np.log2(np.maximum(n, 1)) + 1e-9).astype(np.int64)
 
 
-def jaccard_threshold(apart: int, t: float = THRESHOLD, ratio: float = RATIO) -> float:
+def jaccard_threshold(apart: int, t: float = THRESHOLD, ratio: float = NEAR) -> float:
     """Least Jaccard similarity of a containment t between partitions that are ``apart`` steps apart."""
     return t / (min(ratio, 2 ** ((apart + 1) / STEPS)) + 1 - t)
 
 
-def furthest(ratio: float = RATIO) -> int:
+def furthest(ratio: float = NEAR) -> int:
     return int(math.ceil(STEPS * math.log2(ratio)))
 
 
 @cache
-def banding(apart: int, t: float = THRESHOLD, ratio: float = RATIO, recall: float = RECALL) -> tuple[int, int]:
+def banding(apart: int, t: float = THRESHOLD, ratio: float = NEAR, recall: float = RECALL) -> tuple[int, int]:
     """(rows a band, bands): the most rows for which the recall at the threshold can be reached, and the fewest bands."""
     s = jaccard_threshold(apart, t, ratio)
     for r in range(8, 0, -1):
@@ -83,7 +111,7 @@ def banding(apart: int, t: float = THRESHOLD, ratio: float = RATIO, recall: floa
     return 1, HASHES
 
 
-def bands(t: float = THRESHOLD, ratio: float = RATIO, recall: float = RECALL) -> dict[int, int]:
+def bands(t: float = THRESHOLD, ratio: float = NEAR, recall: float = RECALL) -> dict[int, int]:
     """Rows a band to the most bands that any two partitions use."""
     most: dict[int, int] = {}
     for apart in range(furthest(ratio) + 1):
@@ -92,11 +120,15 @@ def bands(t: float = THRESHOLD, ratio: float = RATIO, recall: float = RECALL) ->
     return most
 
 
-SKETCH = "node long, doc long, text_key long, n int, set_key long, signature binary, low binary"
+SKETCH = "node long, doc long, text_key long, n int, set_key long, signature binary, low binary, few array<int>"
 #: Rows of ids that may be broadcast to keep texts from being shuffled; beyond it they are joined by a shuffle.
 ID_ROWS = 2_000_000
 
 
+def node_id(doc: int, key: int) -> int:
+    return xxhash.xxh3_64_intdigest(doc.to_bytes(8, "little", signed=True) + key.to_bytes(8, "little", signed=True)) - (1 << 63)
+
+
 def sketches(docs: DataFrame) -> DataFrame:
     """One row per row of ``docs`` that has words."""
 
@@ -109,11 +141,11 @@ def sketches(docs: DataFrame) -> DataFrame:
                 if not len(code):
                     continue
                 s, key = shingles(code), text_key(code)
-                node = xxhash.xxh3_64_intdigest(doc.to_bytes(8, "little", signed=True) + key.to_bytes(8, "little", signed=True)) - (1 << 63)
+                node = node_id(doc, key)
                 sig = signature(s)
-                rows.append((node, doc, key, len(s), xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63), sig.tobytes(), sig.astype(np.uint8).tobytes()))
-            c = list(zip(*rows)) if rows else [()] * 7
-            yield pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array(c[2], pa.int64()), pa.array(c[3], pa.int32()), pa.array(c[4], pa.int64()), pa.array(c[5], pa.binary()), pa.array(c[6], pa.binary())], names=["node", "doc", "text_key", "n", "set_key", "signature", "low"])
+                rows.append((node, doc, key, len(s), xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63), sig.tobytes(), sig.astype(np.uint8).tobytes(), few(s)))
+            c = list(zip(*rows)) if rows else [()] * 8
+            yield pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array(c[2], pa.int64()), pa.array(c[3], pa.int32()), pa.array(c[4], pa.int64()), pa.array(c[5], pa.binary()), pa.array(c[6], pa.binary()), pa.array(c[7], pa.list_(pa.int32()))], names=["node", "doc", "text_key", "n", "set_key", "signature", "low", "few"])
 
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC)).alias("doc"), F.col("text").cast("string")).filter("text is not null")
     return rows.mapInArrow(run, SKETCH)
@@ -198,6 +230,56 @@ def all_pairs(rows: DataFrame, t: float, ratio: float, recall: float) -> DataFra
     return many.mapInArrow(pairs, PAIRS).distinct()  # the window has put each bucket in one partition
 
 
+def far_pairs(docs: DataFrame, nodes: DataFrame, settled: DataFrame, t: float, ratio: float, recall: float, least: int) -> DataFrame:
+    """(a, b, na, nb): nodes with those more than NEAR times their size in which enough of their few shingles are.
+
+    The few shingles are put in files, sorted, which tasks map to memory; each text is counted against all of them where it is read, so only pairs with enough are sent."""
+    asked = stage(nodes.join(settled, "node", "left_anti").filter(F.col("n") >= least).select("node", "n", "few"))
+    base = f"{shared_dir(docs.sparkSession)}/few-{uuid.uuid4().hex}"
+    place = Path(base.removeprefix("file://"))
+    place.mkdir(parents=True)
+    parts = max(1, -(-asked.count() // FEW_NODES))
+    for k in range(parts):
+        got = asked.filter(F.pmod(F.xxhash64("node"), F.lit(parts)) == k).toArrow()
+        sets = got.column("few").combine_chunks()
+        keys, of = sets.flatten().to_numpy().view(np.uint32), np.repeat(np.arange(len(sets), dtype=np.int32), sets.value_lengths().to_numpy())
+        order = np.argsort(keys, kind="stable")
+        for name, x in (("keys", keys[order]), ("of", of[order]), ("node", got.column("node").to_numpy()), ("n", got.column("n").to_numpy())):
+            np.save(place / f"{name}-{k}.npy", x)
+    need = np.array([0] + [least_found(n, t, recall) for n in range(1, FEW + 2)])
+
+    def found(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        codes = Codes()
+        index = [[np.load(place / f"{name}-{k}.npy", mmap_mode="r") for name in ("keys", "of", "node", "n")] for k in range(parts)]
+        for b in (x.slice(at, 500) for x in batches for at in range(0, x.num_rows, 500)):
+            out = [np.zeros((4, 0), np.int64)]
+            for doc, text in zip(b.column(0).to_pylist(), b.column(1)):
+                code = words(text.as_py(), codes)
+                if len(code) <= NEAR * least:  # it has no more shingles than words
+                    continue
+                s = shingles(code)
+                me = node_id(doc, text_key(code))
+                for keys, of, node, n in index:
+                    if not len(keys):
+                        continue
+                    at = np.minimum(np.searchsorted(keys, s), len(keys) - 1)
+                    hit = keys[at] == s
+                    low = at[hit]
+                    many = np.searchsorted(keys, s[hit], "right") - low
+                    owner, hits = np.unique(of[np.repeat(low - np.cumsum(many) + many, many) + np.arange(many.sum())], return_counts=True)
+                    size = n[owner]
+                    owner = owner[(len(s) > NEAR * size) & (len(s) <= ratio * size) & (hits >= need[np.minimum(size, FEW + 1)])]
+                    if len(owner):
+                        out.append(np.stack([node[owner], np.full(len(owner), me), n[owner].astype(np.int64), np.full(len(owner), len(s))]))
+            c = np.concatenate(out, 1)
+            yield pa.RecordBatch.from_arrays([pa.array(c[0]), pa.array(c[1]), pa.array(c[2].astype(np.int32)), pa.array(c[3].astype(np.int32))], names=["a", "b", "na", "nb"])
+
+    texts = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC)).alias("doc"), F.col("text").cast("string")).filter("text is not null")
+    pairs = stage(texts.mapInArrow(found, "a long, b long, na int, nb int"))
+    shutil.rmtree(place)
+    return pairs.distinct().join(nodes.select(F.col("node").alias("b")), "b", "left_semi").select("a", "b", "na", "nb")
+
+
 #: A pair at its threshold is ruled out by its signatures with at most this probability (that of 4 standard errors of a normal variable).
 MISS = 3.2e-5
 
@@ -317,20 +399,24 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, ratio: float
     every = stage(sketches(docs))
     one = every.select("node", "doc", "text_key", "n", "set_key").distinct()
     # equal sets: the lowest id stands for them
-    heads = every.groupBy("set_key", "n").agg(F.min(F.struct("doc", "text_key", "node")).alias("head"), F.min(F.struct("signature", "low")).alias("s"))
-    nodes = stage(heads.select("head.node", "head.doc", "head.text_key", "n", "set_key", "s.signature", "s.low"))
-    most = bands(threshold, ratio, recall)
+    heads = every.groupBy("set_key", "n").agg(F.min(F.struct("doc", "text_key", "node")).alias("head"), F.min(F.struct("signature", "low", "few")).alias("s"))
+    nodes = stage(heads.select("head.node", "head.doc", "head.text_key", "n", "set_key", "s.signature", "s.low", "s.few"))
+    near = min(ratio, NEAR)
+    most = bands(threshold, near, recall)
     mutual = F.col("shared") >= threshold * F.greatest("na", "nb")
 
     narrow = {max(most): most[max(most)]}
-    stars = star_pairs(band_rows(nodes.withColumn("group", F.col("node")), narrow), ratio)
-    first = stage(checked(stage(few_links(plausible(stars, nodes, threshold, ratio))), docs, nodes))
+    stars = star_pairs(band_rows(nodes.withColumn("group", F.col("node")), narrow), near)
+    first = stage(checked(stage(few_links(plausible(stars, nodes, threshold, near))), docs, nodes))
     grouped = small(cut(components(first.filter(mutual))), ID_ROWS)
     best = F.max_by(F.struct("node", "n"), F.struct("n", F.bitwise_not("doc"), F.bitwise_not("text_key")))
     in_group = nodes.select("node", "doc", "text_key", "n").join(grouped, "node")
     settled = small(cut(in_group.select("node").join(in_group.groupBy("group").agg(best.alias("k")).select("k.node"), "node", "left_anti")), ID_ROWS)
     rows = band_rows(nodes.join(grouped, "node", "left").withColumn("group", F.coalesce("group", "node")), most)
-    second = stage(checked(stage(plausible(all_pairs(rows, threshold, ratio, recall), nodes, threshold, ratio, settled).drop("j")), docs, nodes))
+    candidates = plausible(all_pairs(rows, threshold, near, recall), nodes, threshold, near, settled).drop("j")
+    if ratio > NEAR:
+        candidates = candidates.unionByName(far_pairs(docs, nodes, settled, threshold, ratio, recall, least))
+    second = stage(checked(stage(candidates), docs, nodes))
     found = first.unionByName(second)
     groups = components(found.filter(mutual))
     info = nodes.select("node", "doc", "text_key", "n")

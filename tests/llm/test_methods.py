@@ -176,6 +176,20 @@ def test_near_duplicates(spark, sf, texts):
     assert got <= want and len(got) >= 0.9 * len(want) and want
 
 
+def test_contained_in_far_larger_texts(spark):
+    """A text goes for one of any size that holds it; one that holds too little of it doesn't count."""
+    rng = np.random.default_rng(5)
+    word = lambda n: [f"w{x}" for x in rng.integers(0, 10**6, n)]
+    small = [word(n) for n in (12, 20, 60, 300) for _ in range(10)]
+    docs = [(i, " ".join(w)) for i, w in enumerate(small)]
+    docs += [(100 + i, " ".join(word(3 * len(w)) + w + word(r * len(w)))) for i, (w, r) in enumerate(zip(small, [1, 10, 40] * 14))]
+    docs += [(200, " ".join(word(900) + small[-1])), (201, None), (300, " ".join(alone := word(100))), (301, " ".join(alone[:50] + word(900)))]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    got = {r.doc_id for r in near_dedup.near_dedup(df).collect()}
+    assert got == set(range(40))
+    assert not {r.doc_id for r in near_dedup.near_dedup(df, ratio=2.5).collect()}
+
+
 def test_banding():
     for apart in range(near_dedup.furthest() + 1):
         r, b = near_dedup.banding(apart)
