@@ -5,7 +5,7 @@ collapsed; the others are laid end to end as a string of bytes, one a word, whos
 :mod:`probgraph.llm.induced_sort`. Neighbours that share 50 symbols or more form runs; within a run the 16-bit
 words decide. Of equal windows the first in order of (doc_id, text, place) stays, the others are duplicates. Spans are merged per text by a window.
 
-Shards larger than memory: the sorter's queue moves its tuples to files under ``spark.checkpoint.dir`` when they pass ``budget`` bytes (where
+A shard has to fit in memory. Only the sorter's queue is external: it moves its tuples to files under ``spark.checkpoint.dir`` when they pass ``budget`` bytes (where
 that is a folder of the file system; else they stay in memory and more shuffle partitions make shards smaller).
 
 Null, empty and shorter texts have no passages. Rows equal in doc_id and text are one text and no copies of each other. A text that repeats itself loses all
