@@ -1,11 +1,9 @@
-"""Operator 6: substring dedup by relative Lempel-Ziv parsing.
+"""Operator 6: substring dedup, in place of relative Lempel-Ziv parsing by hashes of all 50-word windows.
 
 The reference is all text that comes before, in order of (doc_id, text, place). It is cut in blocks by the minimizer of its windows (see
 :mod:`probgraph.llm.passages`), and a text's segments go to every block that could hold a factor of 50 words of them: those
-of their own minimizers. In a block, an index maps each 50-word key to its first place. A segment is parsed from left to right: the
-key at the current word gives the reference place, the factor is extended word by word as far as both texts agree, and the
-next phrase starts where it ends. The windows across a factor's end are looked up too, so that a passage that starts inside
-one factor and ends in the next is not lost. Factors of at least 50 words are duplicate spans; touching ones are merged per text.
+of their own minimizers. In a block, each 50-word window's hash is mapped to its first place, and nearby hits are joined
+to spans. No factor is sought from left to right and words aren't compared; the spans are those that a parsing would give.
 
 Null, empty and shorter texts have no factors. Rows equal in doc_id and text are one text and no reference for each other.
 A text is its own reference for what it said before."""
