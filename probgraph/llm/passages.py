@@ -1,13 +1,16 @@
-"""Repeated passages of at least ``LENGTH`` words: how texts are cut so that equal passages meet in one task.
+"""Repeated passages of at least ``LENGTH`` words: how texts are cut so that equal passages meet in one task, and how what is found there is verified.
 
 Every window of LENGTH words is represented by its minimizer, the run of ``SEED`` words in it with the least hash (the leftmost of
-equal ones), which depends on the window's words alone. Consecutive windows with one minimizer form a segment, sent once, by
-the minimizer's hash: equal windows, in whatever texts, always meet, and each window is sent exactly once. A segment carries 16 bits a word;
-together with the 64 bits of the seed they decide equality, so two different windows pass for equal only where each word that
-differs has the same 16 bits (2^-16 for each such word).
+equal ones), which depends on the window's words alone. Consecutive windows with one minimizer form a segment, sent by
+the minimizer's hash: equal windows, in whatever texts, always meet, and each window is sent exactly once. Segments of equal words are sent once
+for all their occurrences in a batch of texts, 20 bytes each, so a passage that every text holds costs a task little more than its places.
+
+A segment carries 16 bits a word, by which the operators find repeats. Before anything is reported or cut, each repeat is
+verified against the 64-bit codes of both texts' words (:func:`verified`); of a repeat that fails, the runs of LENGTH and more words that do agree stay.
 
 A text is known by its doc_id and the hash of its words; rows equal in both are one text. Shorter texts have no window. Null text is empty,
-a null doc_id counts as the lowest."""
+a null doc_id counts as the lowest. Further columns aren't read, so that their names can't clash. An empty table has no passages. Very long texts are cut piece by piece. Of equal
+windows the first in order of (doc_id, text hash, place) is the original."""
 
 from __future__ import annotations
 
@@ -19,12 +22,20 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from probgraph.llm.external import Column, Pool
 from probgraph.llm.text import Codes, grams, mix, words
+from probgraph.runtime import cut, small, stage
 
 LENGTH, SEED = 50, 8
 NULL_DOC = -(2**63)
-SCHEMA = "h long, doc long, text_key long, lo int, n_windows int, symbols binary"
+SCHEMA = "h long, digest long, n_windows int, symbols binary, places binary"
+#: An occurrence of a segment: which text, and its first window.
+PLACE = np.dtype([("doc", "<i8"), ("key", "<i8"), ("lo", "<i4")])
+#: Bytes of rows that a task reads before it works on them (whole groups of one minimizer; larger groups go in parts).
+PART = 24 << 20
 _PIECE = 1 << 20
+_BASE = 0x9E3779B97F4A7C15 | 1
+_BACK = pow(_BASE, -1, 1 << 64)
 
 
 def cuts(code: np.ndarray, length: int = LENGTH, seed: int = SEED) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -57,88 +68,262 @@ def text_key(code: np.ndarray) -> int:
     return xxhash.xxh3_64_intdigest(code.tobytes()) - (1 << 63)
 
 
+def _powers(base: int, n: int) -> np.ndarray:
+    out = np.full(n + 1, np.uint64(base))
+    out[0] = 1
+    return np.cumprod(out, dtype=np.uint64)
+
+
 def segments(docs: DataFrame, length: int = LENGTH, seed: int = SEED) -> DataFrame:
-    """Segments of all texts, ``SCHEMA``."""
+    """Segments of all texts, ``SCHEMA``; equal ones of a batch are one row with several places."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codes = Codes()
         for b in batches:
             for part in range(0, b.num_rows, 500):
-                hs, docs_, keys, los, ns, body, sizes = [], [], [], [], [], [], []
+                hs, los, ns, bodies, owner, known, base = [], [], [], [], [], [], 0
                 for doc, text in zip(b.column(0)[part : part + 500].to_pylist(), b.column(1)[part : part + 500].to_pylist()):
                     code = words(text, codes)
                     h, lo, n = cuts(code, length, seed)
                     if not len(h):
                         continue
-                    s = symbols(code)
                     hs.append(h)
-                    docs_.append(np.full(len(h), doc, np.int64))
-                    keys.append(np.full(len(h), text_key(code), np.int64))
-                    los.append(lo)
+                    los.append(lo + base)
                     ns.append(n)
-                    long = n + length - 1
-                    begin = np.repeat(lo - np.cumsum(np.append(0, long[:-1])), long)
-                    body.append(s[begin + np.arange(int(long.sum()))])
-                    sizes.append(long * 2)
+                    bodies.append(code)
+                    owner.append(np.full(len(h), len(known)))
+                    known.append((doc, text_key(code), base))
+                    base += len(code)
                 if not hs:
                     continue
-                offsets = np.concatenate([[0], np.cumsum(np.concatenate(sizes))]).astype(np.int32)
-                text = pa.Array.from_buffers(pa.binary(), len(offsets) - 1, [None, pa.py_buffer(offsets), pa.py_buffer(np.concatenate(body))])
+                h, at, n, body, own = (np.concatenate(x) for x in (hs, los, ns, bodies, owner))
+                end = at + n + length - 1
+                # a segment's digest: its part of a power sum over all words, shifted to the front
+                sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(mix(body) * _powers(_BASE, len(body))[:-1], dtype=np.uint64)])
+                digest = mix((sums[end] - sums[at]) * _powers(_BACK, len(body))[at] + n.astype(np.uint64))
+                docs_, keys, starts = (np.array(x, np.int64)[own] for x in zip(*known))
+                order = np.lexsort((digest, h))
+                h, digest = h[order], digest[order]
+                first = np.flatnonzero(np.append(True, (h[1:] != h[:-1]) | (digest[1:] != digest[:-1])))
+                places = np.empty(len(order), PLACE)
+                places["doc"], places["key"], places["lo"] = docs_[order], keys[order], (at - starts)[order]
+                at, n = at[order[first]], n[order[first]]
+                size = n + length - 1
+                text = symbols(body)[np.repeat(at - np.cumsum(np.append(0, size[:-1])), size) + np.arange(int(size.sum()))]
+                binary = lambda ends, raw: pa.Array.from_buffers(pa.binary(), len(ends), [None, pa.py_buffer(np.append(0, ends).astype(np.int32)), pa.py_buffer(raw)])
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.concatenate(hs).view(np.int64)), pa.array(np.concatenate(docs_)), pa.array(np.concatenate(keys)), pa.array(np.concatenate(los).astype(np.int32)), pa.array(np.concatenate(ns).astype(np.int32)), text],
-                    names=["h", "doc", "text_key", "lo", "n_windows", "symbols"],
+                    [pa.array(h[first].view(np.int64)), pa.array(digest[first].view(np.int64)), pa.array(n.astype(np.int32)), binary(np.cumsum(size) * 2, text), binary(np.append(first[1:], len(h)) * PLACE.itemsize, places)],
+                    names=["h", "digest", "n_windows", "symbols", "places"],
                 )
 
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC)).alias("doc"), F.col("text").cast("string")).filter("text is not null")
     return rows.mapInArrow(run, SCHEMA)
 
 
-class Shard:
-    """The segments of a task whose seed occurs twice or more, in order of (text, place)."""
-
-    def __init__(self, batches: list[pa.RecordBatch], length: int = LENGTH):
-        table = pa.Table.from_batches(batches)
-        column = {c: table.column(c).to_numpy() for c in ("h", "doc", "text_key", "lo", "n_windows")}
-        order = np.argsort(column["h"], kind="stable")
-        h = column["h"][order]
-        new = np.append(True, h[1:] != h[:-1])
-        count = np.diff(np.append(np.flatnonzero(new), len(h)))
-        order = order[np.repeat(count, count) > 1]
-        # the least occurrence of equal windows is the first in this order
-        order = order[np.lexsort((column["lo"][order], column["text_key"][order], column["doc"][order]))]
-        self.h, self.doc, self.text_key, self.lo, self.n_windows = (column[c][order] for c in ("h", "doc", "text_key", "lo", "n_windows"))
-        self.lo, self.n_windows = self.lo.astype(np.int64), self.n_windows.astype(np.int64)
-        self.size = self.n_windows + length - 1
-        self.begin = np.concatenate([[0], np.cumsum(self.size)]).astype(np.int64)
-        chosen = table.column("symbols").take(pa.array(order)).combine_chunks()
-        chosen = chosen.chunk(0) if isinstance(chosen, pa.ChunkedArray) else chosen
-        raw = chosen.buffers()[2]
-        first = np.frombuffer(chosen.buffers()[1], np.int32)[chosen.offset] if len(order) else 0
-        self.symbols = np.frombuffer(raw, np.uint8)[first : first + 2 * int(self.begin[-1])].view(np.uint16) if len(order) else np.zeros(0, np.uint16)
+def shards(batches: Iterator[pa.RecordBatch], part: int = PART) -> Iterator[tuple[pa.Table, bool]]:
+    """(rows, whether their last minimizer goes on) of rows in order of (h, digest). No segment's rows are parted."""
+    held, size = [], 0
+    for b in batches:
+        if not b.num_rows:
+            continue
+        held.append(b)
+        size += b.nbytes
+        if size < part:
+            continue
+        t = pa.Table.from_batches(held).combine_chunks()
+        h, digest = t.column("h").to_numpy(), t.column("digest").to_numpy()
+        whole = np.flatnonzero(h[1:] != h[:-1])
+        at = int((whole if len(whole) else np.flatnonzero(digest[1:] != digest[:-1]))[-1:].sum()) + 1 if len(whole) or (digest[1:] != digest[:-1]).any() else 0
+        if not at:
+            held = t.to_batches()
+            continue
+        yield t.slice(0, at), not len(whole)
+        held = t.slice(at).to_batches()
+        size = sum(x.nbytes for x in held) if len(whole) else 0
+    if held:
+        yield pa.Table.from_batches(held), False
+
+
+def _binary(column: pa.ChunkedArray) -> list[tuple[np.ndarray, np.ndarray]]:
+    """(offsets, bytes) of each chunk."""
+    out = []
+    for c in column.chunks:
+        ends = np.frombuffer(c.buffers()[1], np.int32)[c.offset : c.offset + len(c) + 1].astype(np.int64)
+        out.append((ends, np.frombuffer(c.buffers()[2], np.uint8) if c.buffers()[2] is not None else np.zeros(0, np.uint8)))
+    return out
+
+
+def _gather(column: pa.ChunkedArray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(bytes of the rows end to end, size of each)."""
+    parts, sizes, base = [], [], 0
+    for ends, raw in _binary(column):
+        k = len(ends) - 1
+        here = rows[np.searchsorted(rows, base) : np.searchsorted(rows, base + k)] - base
+        size = ends[here + 1] - ends[here]
+        parts.append(raw[np.repeat(ends[here] - np.cumsum(np.append(0, size[:-1]))[: len(here)], size) + np.arange(int(size.sum()))])
+        sizes.append(size)
+        base += k
+    return np.concatenate(parts), np.concatenate(sizes)
+
+
+class Contents:
+    """The distinct segments of some minimizers, and where they occur. Words and places are columns of a pool; of a segment itself about 60 bytes are in memory."""
+
+    def __init__(self, pool: Pool, length: int = LENGTH):
+        self.pool, self.length = pool, length
+        self.words = Column(pool, np.int32)  # 16-bit words + 2, a 1 after each segment
+        self.places = Column(pool, PLACE)
+        self.parts: list[tuple[np.ndarray, ...]] = []
+
+    def add(self, rows: pa.Table, goes_on: bool = False) -> None:
+        h, digest, n = (rows.column(c).to_numpy() for c in ("h", "digest", "n_windows"))
+        count = np.concatenate([np.diff(ends) for ends, _ in _binary(rows.column("places"))]) // PLACE.itemsize
+        group = np.flatnonzero(np.append(True, h[1:] != h[:-1]))
+        size = np.diff(np.append(group, len(h)))
+        keep = np.repeat(np.add.reduceat(count, group), size) > 1
+        if goes_on or self.parts and h[0] == self.parts[-1][-1][-1]:
+            keep |= (h == h[-1]) & goes_on | (h == h[0]) & bool(self.parts and h[0] == self.parts[-1][-1][-1])
+        at = np.flatnonzero(keep)
+        if not len(at):
+            return
+        h, digest, n, count = h[at], digest[at], n[at].astype(np.int64), count[at]
+        first = np.flatnonzero(np.append(True, (h[1:] != h[:-1]) | (digest[1:] != digest[:-1])))
+        raw, _ = _gather(rows.column("places"), at)
+        places = raw.view(PLACE)
+        count = np.add.reduceat(count, first)
+        which = np.repeat(np.arange(len(first)), count)
+        order = np.lexsort((places["lo"], places["key"], places["doc"], which))
+        places = places[order]
+        raw, size = _gather(rows.column("symbols"), at[first])
+        size //= 2
+        text = np.ones(int(size.sum()) + len(size), np.int32)
+        head = np.concatenate([[0], np.cumsum(size + 1)])
+        text[np.repeat(head[:-1] - np.cumsum(np.append(0, size[:-1])), size) + np.arange(int(size.sum()))] = raw.view(np.uint16).astype(np.int32) + 2
+        least = places[np.concatenate([[0], np.cumsum(count)[:-1]])]
+        self.parts.append((head[:-1] + len(self.words), n[first], count, len(self.places) + np.cumsum(count) - count, least["doc"], least["key"], least["lo"].astype(np.int64), h[first]))
+        self.words.append(text)
+        self.places.append(places)
+
+    def seal(self) -> Contents:
+        self.begin, self.n, self.count, self.at, self.doc, self.key, self.lo, _ = (np.concatenate(x) for x in zip(*self.parts))
+        order = np.lexsort((self.lo, self.key, self.doc))
+        #: Order of the segments' first occurrences: of equal windows the one in the segment of least rank is the first.
+        self.rank = np.empty(len(order), np.int64)
+        self.rank[order] = np.arange(len(order))
+        self.words.seal()
+        self.places.seal()
+        return self
 
     def __len__(self) -> int:
-        return len(self.h)
+        return sum(len(p[0]) for p in self.parts)
 
+    def of(self, position: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(segment, place in it) of places in the text."""
+        which = np.searchsorted(self.begin, position, "right") - 1
+        return which, position - self.begin[which]
 
-OCCURRENCES = "doc long, text_key long, lo int, hi int, first_doc long"
+    def spans(self, which: np.ndarray, lo: np.ndarray, hi: np.ndarray, source: np.ndarray, shift: np.ndarray, others: bool = False, batch: int = 200_000) -> Iterator[pa.RecordBatch]:
+        """Rows of ``OCCURRENCES``: windows lo..hi - 1 of segments, wherever these occur, repeat windows lo + shift.. of the first occurrence of ``source``; that itself is no repeat. others: not for a segment's first occurrence."""
+        ends = np.cumsum(self.count[which])
+        at = 0
+        while at < len(which):
+            to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + batch)))
+            w, a, b, s, d = (x[at:to] for x in (which, lo, hi, source, shift))
+            many = self.count[w]
+            each = np.repeat(np.arange(len(w)), many)
+            nth = np.arange(int(many.sum())) - np.repeat(np.cumsum(many) - many, many)
+            p = self.places.take(self.at[w][each] + nth)
+            begin = p["lo"] + a[each]
+            first = self.doc[s][each], self.key[s][each], self.lo[s][each] + (a + d)[each]
+            keep = ~((p["doc"] == first[0]) & (p["key"] == first[1]) & (begin == first[2]))
+            if others:
+                keep &= nth > 0
+            cols = p["doc"], p["key"], begin.astype(np.int32), (begin + (b - a)[each] + self.length - 1).astype(np.int32), first[0], first[1], first[2].astype(np.int32)
+            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(c[keep])) for c in cols], names=NAMES)
+            at = to
 
 
-def occurrences(shard: Shard, row: np.ndarray, offset: np.ndarray, first_row: np.ndarray, first_offset: np.ndarray, length: int = LENGTH) -> pa.RecordBatch | None:
-    """Windows (row, offset), in order, that repeat an earlier one: runs of them against one earlier text become spans of words."""
-    same = (shard.doc[row] == shard.doc[first_row]) & (shard.text_key[row] == shard.text_key[first_row]) & (shard.lo[row] + offset == shard.lo[first_row] + first_offset)
-    keep = ~same
-    row, offset, first_row = row[keep], offset[keep], first_row[keep]
-    if not len(row):
-        return None
-    new = np.ones(len(row), bool)
-    new[1:] = (row[1:] != row[:-1]) | (offset[1:] != offset[:-1] + 1) | (shard.doc[first_row[1:]] != shard.doc[first_row[:-1]])
+def joined(which: np.ndarray, off: np.ndarray, source: np.ndarray, shift: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Runs (which, lo, hi, source, shift) of windows in order that go on in the same source."""
+    new = np.append(True, (which[1:] != which[:-1]) | (off[1:] != off[:-1] + 1) | (source[1:] != source[:-1]) | (shift[1:] != shift[:-1]))
     at = np.flatnonzero(new)
-    end = np.append(at[1:], len(row)) - 1
-    known = shard.lo[row[at]] + offset[at]
-    return pa.RecordBatch.from_arrays(
-        [pa.array(shard.doc[row[at]]), pa.array(shard.text_key[row[at]]), pa.array(known.astype(np.int32)), pa.array((shard.lo[row[end]] + offset[end] + length).astype(np.int32)), pa.array(shard.doc[first_row[at]])],
-        names=["doc", "text_key", "lo", "hi", "first_doc"],
-    )
+    return which[at], off[at], off[np.append(at[1:], len(off)) - 1] + 1, source[at], shift[at]
+
+
+OCCURRENCES = "doc long, text_key long, lo int, hi int, first_doc long, first_key long, first_lo int"
+NAMES = [x.split()[0] for x in OCCURRENCES.split(", ")]
+
+
+def found(docs: DataFrame, run, length: int = LENGTH) -> DataFrame:
+    """Verified, merged spans (doc, text_key, lo, hi, first_doc) that ``run`` finds in the segments, by minimizer. run: rows of ``SCHEMA`` in order to ``OCCURRENCES``."""
+    rows = segments(docs, length).repartition("h").sortWithinPartitions("h", "digest")
+    return merged(verified(rows.mapInArrow(run, OCCURRENCES), docs, length))
+
+
+def _asked(docs: DataFrame, ranges: DataFrame, whole: bool) -> DataFrame:
+    """(doc, text_key, lo, hi, got) of ranges of words of the texts: their 64-bit hash, or the words' codes themselves."""
+    ask = ranges.groupBy("doc").agg(F.collect_list(F.struct("text_key", "lo", "hi")).alias("ask"))
+    texts = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC)).alias("doc"), F.col("text").cast("string")).filter("text is not null")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        codes = Codes()
+        for b in (x.slice(at, 500) for x in batches for at in range(0, x.num_rows, 500)):
+            docs_, keys, los, his, got = [], [], [], [], []
+            ask = b.column(2)
+            ends, flat = ask.offsets.to_pylist(), ask.values
+            key, lo, hi = (flat.field(i).to_numpy() for i in range(3))
+            for i, (doc, text) in enumerate(zip(b.column(0).to_pylist(), b.column(1))):
+                code = words(text.as_py(), codes)
+                k = text_key(code)
+                for j in range(ends[i], ends[i + 1]):
+                    if key[j] == k:
+                        part = code[lo[j] : hi[j]].tobytes()
+                        docs_.append(doc)
+                        keys.append(k)
+                        los.append(lo[j])
+                        his.append(hi[j])
+                        got.append(part if whole else xxhash.xxh3_64_intdigest(part) - (1 << 63))
+            yield pa.RecordBatch.from_arrays([pa.array(docs_, pa.int64()), pa.array(keys, pa.int64()), pa.array(los, pa.int32()), pa.array(his, pa.int32()), pa.array(got, pa.binary() if whole else pa.int64())], names=["doc", "text_key", "lo", "hi", "got"])
+
+    # rows that are one text answer alike
+    return texts.join(ask, "doc").select("doc", "text", "ask").mapInArrow(run, f"doc long, text_key long, lo int, hi int, got {'binary' if whole else 'long'}").dropDuplicates(["doc", "text_key", "lo", "hi"])
+
+
+def verified(spans: DataFrame, docs: DataFrame, length: int = LENGTH) -> DataFrame:
+    """The spans (doc, text_key, lo, hi, first_doc) whose words are those of their first occurrence, by 64 bits a word.
+
+    Pieces of one repeat are put together first, so that each repeat is asked once of either text. Of a span that fails the parts of ``length`` and more words that agree stay."""
+    by = Window.partitionBy("doc", "text_key").orderBy("first_doc", "first_key", "shift", "lo")
+    same = (F.lag("first_doc").over(by) == F.col("first_doc")) & (F.lag("first_key").over(by) == F.col("first_key")) & (F.lag("shift").over(by) == F.col("shift")) & (F.lag("hi").over(by) >= F.col("lo"))
+    runs = spans.withColumn("shift", F.col("first_lo") - F.col("lo")).withColumn("new", F.when(same, 0).otherwise(1))
+    runs = runs.withColumn("run", F.sum("new").over(by.rowsBetween(Window.unboundedPreceding, 0)))
+    runs = runs.groupBy("doc", "text_key", "run").agg(F.first("first_doc").alias("first_doc"), F.first("first_key").alias("first_key"), F.first("shift").alias("shift"), F.min("lo").alias("lo"), F.max("hi").alias("hi"))
+    runs = stage(runs.select("doc", "text_key", "lo", "hi", "first_doc", "first_key", "shift"))
+    own = ["doc", "text_key", "lo", "hi"]
+
+    def sides(of: DataFrame, whole: bool) -> DataFrame:
+        there = of.select(F.col("first_doc").alias("doc"), F.col("first_key").alias("text_key"), (F.col("lo") + F.col("shift")).alias("lo"), (F.col("hi") + F.col("shift")).alias("hi"))
+        got = stage(_asked(docs, of.select(*own).unionByName(there).distinct(), whole))
+        far = got.select(F.col("doc").alias("first_doc"), F.col("text_key").alias("first_key"), F.col("lo").alias("first_lo"), (F.col("hi") - F.col("lo")).alias("long"), F.col("got").alias("theirs"))
+        return of.withColumn("first_lo", F.col("lo") + F.col("shift")).withColumn("long", F.col("hi") - F.col("lo")).join(got, own).join(far, ["first_doc", "first_key", "first_lo", "long"])
+
+    both = sides(runs, False)
+    good = both.filter("got = theirs").select(*own, "first_doc")
+    bad = cut(both.filter("got <> theirs").select(*own, "first_doc", "first_key", "shift"))
+    if bad.isEmpty():
+        return good
+
+    def agree(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            out = []
+            for doc, key, lo, first, x, y in zip(*[c.to_pylist() for c in b.columns]):
+                same = np.frombuffer(x, np.uint64) == np.frombuffer(y, np.uint64)
+                edge = np.flatnonzero(np.diff(np.concatenate([[0], same.astype(np.int8), [0]])))
+                out += [(doc, key, lo + int(s), lo + int(e), first) for s, e in zip(edge[::2], edge[1::2]) if e - s >= length]
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate((pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64()))], names=[*own, "first_doc"])
+
+    mended = sides(bad, True).select("doc", "text_key", "lo", "first_doc", "got", "theirs").mapInArrow(agree, "doc long, text_key long, lo int, hi int, first_doc long")
+    return good.unionByName(mended)
 
 
 def merged(spans: DataFrame) -> DataFrame:

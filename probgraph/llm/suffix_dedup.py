@@ -1,15 +1,15 @@
 """Operator 4: suffix-array dedup. Passages of at least 50 words that occurred before, found by external induced sorting.
 
-Segments of all texts (see :mod:`probgraph.llm.passages`) are grouped by the hash of their minimizer. In a task, equal segments are
-collapsed; the others are laid end to end as a string of bytes, one a word, whose suffix and common-prefix arrays are built by
-:mod:`probgraph.llm.induced_sort`. Neighbours that share 50 symbols or more form runs; within a run the 16-bit
-words decide. Of equal windows the first in order of (doc_id, text, place) stays, the others are duplicates. Spans are merged per text by a window.
+Segments of all texts (see :mod:`probgraph.llm.passages`) are grouped by the hash of their minimizer. In a task, the distinct segments of some minimizers are
+laid end to end as a string of 16-bit words, whose suffix and common-prefix arrays are built by :mod:`probgraph.llm.induced_sort`. Windows between neighbours that share 50 words
+and more are one window: the suffix order alone decides. Of equal windows the first in order of (doc_id, text hash, place) stays, the others are
+duplicates; they are verified against the texts, by 64 bits a word, and spans are merged per text.
 
-A shard has to fit in memory. Only the sorter's queue is external: it moves its tuples to files under ``spark.checkpoint.dir`` when they pass ``budget`` bytes (where
-that is a folder of the file system; else they stay in memory and more shuffle partitions make shards smaller).
+Text, places, names, pending and sorted suffixes of a shard are blocks of one pool: what passes ``budget`` bytes is in files under ``spark.checkpoint.dir``, on any
+file system that pyarrow opens. In memory are the rows read at a time (``part`` bytes), about 60 bytes for each distinct segment, and the windows of one class of equals.
 
 Null, empty and shorter texts have no passages. Rows equal in doc_id and text are one text and no copies of each other. A text that repeats itself loses all
-but the first occurrence."""
+but the first occurrence. Empty tables, very long texts, ties and further columns: see :mod:`probgraph.llm.passages`; :func:`without` keeps all columns, whatever their names."""
 
 from __future__ import annotations
 
@@ -20,104 +20,78 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from probgraph.llm import passages
-from probgraph.llm.induced_sort import suffix_arrays
-from probgraph.llm.passages import LENGTH, NULL_DOC, OCCURRENCES, Shard, merged, named, occurrences, segments
-from probgraph.llm.text import Codes, grams, words
+from probgraph.llm import induced_sort, passages
+from probgraph.llm.external import Column, Pool, Queue
+from probgraph.llm.passages import LENGTH, NULL_DOC, PART, Contents, found, joined, named, shards
+from probgraph.llm.text import Codes, words
 from probgraph.runtime import cut as cut_
 from probgraph.runtime import fresh, shared_dir, small, stage
 
 BUDGET = 256 << 20
 
 
-def window_hash(symbols: np.ndarray, length: int = LENGTH) -> np.ndarray:
-    return grams(symbols.astype(np.uint64) + np.uint64(1), length)
-
-
-def _distinct(shard: Shard) -> tuple[np.ndarray, np.ndarray]:
-    """Row of the first of each distinct segment; for each row, which of these it equals."""
-    import xxhash
-
-    raw = memoryview(shard.symbols).cast("B")
-    ends = (shard.begin * 2).tolist()
-    key = np.fromiter((xxhash.xxh3_64_intdigest(raw[a:b]) for a, b in zip(ends, ends[1:])), np.uint64, len(shard))
-    key ^= shard.h.view(np.uint64)
-    _, first, which = np.unique(key, return_index=True, return_inverse=True)
-    return first, which
-
-
-def repeated(shard: Shard, length: int = LENGTH, budget: int = BUDGET, folder: str | None = None) -> pa.RecordBatch | None:
-    if not len(shard):
-        return None
-    first, which = _distinct(shard)
-    times = np.bincount(which)
-    # windows of distinct segments, end to end
-    n = shard.n_windows[first]
-    begin = np.concatenate([[0], np.cumsum(n)])
-    seg = np.repeat(np.arange(len(first)), n)
-    offset = np.arange(int(begin[-1])) - begin[seg]
-    group = np.arange(len(seg))  # class of each window: at first its own
-    lone = np.unique(shard.h[first], return_inverse=True)[1]
-    shared = np.bincount(lone)[lone] > 1  # its seed has other segments
-    use = np.flatnonzero(shared)
-    if len(use):
-        size = shard.size[first[use]]
-        text = np.ones(int(size.sum()) + len(use), np.uint8)
-        head = np.concatenate([[0], np.cumsum(size + 1)])[:-1]
-        inside = np.repeat(shard.begin[first[use]] - np.cumsum(np.append(0, size[:-1])), size) + np.arange(int(size.sum()))
-        words16 = shard.symbols[inside]
-        to = np.repeat(head - np.cumsum(np.append(0, size[:-1])), size) + np.arange(int(size.sum()))
-        text[to] = (words16 % 254 + 2).astype(np.uint8)
-        sa, prefix = suffix_arrays(text, cap=length, budget=budget, folder=folder)
-        run = np.empty(len(text), np.int64)
-        run[sa] = np.cumsum(prefix < length)
-        wide = np.zeros(len(text), np.uint64)
-        wide[to] = words16
-        exact = window_hash(wide, length)
-        here = shared[seg]
-        at = np.repeat(head, n[use]) + offset[here]
-        # the seed's 64 bits are part of a window's identity
-        label = _pairs(run[at].view(np.uint64), exact[at] ^ (shard.h[first].view(np.uint64)[seg[here]] * np.uint64(3)))
-        group[here] = label + len(seg)
-    _, group = np.unique(group, return_inverse=True)
-    occurs = np.bincount(group, weights=times[seg]).astype(np.int64)
-    # the first occurrence: rows are in order, and so are a row's windows
-    rank = first[seg] * (int(shard.n_windows.max()) + 1) + offset
-    least = np.full(len(occurs), np.iinfo(np.int64).max)
-    np.minimum.at(least, group, rank)
-    base = int(shard.n_windows.max()) + 1
-    # all windows of all rows
-    rows = np.repeat(np.arange(len(shard)), shard.n_windows)
-    start = np.concatenate([[0], np.cumsum(shard.n_windows)])[:-1]
-    off = np.arange(len(rows)) - start[rows]
-    cls = group[begin[which[rows]] + off]
-    hit = occurs[cls] > 1
-    rows, off, cls = rows[hit], off[hit], cls[hit]
-    return occurrences(shard, rows, off, least[cls] // base, least[cls] % base, length)
-
-
-def _pairs(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Labels of equal pairs."""
-    order = np.lexsort((b, a))
-    new = np.append(False, (a[order][1:] != a[order][:-1]) | (b[order][1:] != b[order][:-1]))
-    label = np.empty(len(a), np.int64)
-    label[order] = np.cumsum(new)
-    return label
-
-
-def duplicate_spans(docs: DataFrame, length: int = LENGTH, budget: int = BUDGET) -> DataFrame:
+def repeated(contents: Contents) -> Iterator[pa.RecordBatch]:
+    """Rows of ``OCCURRENCES``."""
+    c, length, pool = contents, contents.length, contents.pool
+    step = induced_sort.live_block(pool)
+    text = Column(pool, np.int32)
+    for x in c.words.chunks():
+        text.append(x)
+    text.append(np.zeros(1, np.int32))
+    order = induced_sort.external_arrays(text.seal(), length, pool)
+    text.drop()
+    place = Queue(pool)  # windows that occur again, by place: (place, first window)
+
+    def classes(position: np.ndarray, run: np.ndarray) -> None:
+        """Complete runs of equal windows, in order of run."""
+        which, off = c.of(position)
+        window = off < c.n[which]  # suffixes that begin after the last window of their segment are none
+        position, run, which, off = position[window], run[window], which[window], off[window]
+        if not len(run):
+            return
+        start = np.flatnonzero(np.append(True, run[1:] != run[:-1]))
+        size = np.diff(np.append(start, len(run)))
+        times = np.add.reduceat(c.count[which], start)
+        first = np.minimum.reduceat(c.rank[which] << 32 | off, start)
+        again = np.repeat(times > 1, size)
+        place.push(position[again], np.repeat(first, size)[again], np.zeros(int(again.sum()), np.int64))
+
+    held, total = [], 0
+    for position, prefix in order.chunks(step):
+        run = total + np.cumsum(prefix < length)
+        total = int(run[-1])
+        held.append((position, run))
+        if run[0] == total and held[0][1][0] == total:
+            continue  # the run goes on
+        position, run = (np.concatenate(x) for x in zip(*held))
+        done = int(np.searchsorted(run, total))
+        classes(position[:done], run[:done])
+        held = [(position[done:], run[done:])]
+    order.drop()
+    if held:
+        classes(*(np.concatenate(x) for x in zip(*held)))
+    by_rank = np.argsort(c.rank)
+    for rows in place.drain():
+        which, off = c.of(rows[0])
+        yield from c.spans(*joined(which, off, by_rank[rows[1] >> 32], (rows[1] & 0xFFFFFFFF) - off))
+
+
+def duplicate_spans(docs: DataFrame, length: int = LENGTH, budget: int = BUDGET, part: int = PART) -> DataFrame:
     """(doc, text_key, lo, hi, first_doc) of passages that occurred before, merged per text."""
-    place = shared_dir(docs.sparkSession)
-    folder = place.removeprefix("file://") + "/scratch" if place.startswith(("file:", "/")) else None
+    place = shared_dir(docs.sparkSession) + "/scratch"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        got = list(batches)
-        if got:
-            found = repeated(Shard(got, length), length, budget, folder)
-            if found is not None:
-                yield found
-
-    return merged(segments(docs, length).repartition("h").mapInArrow(run, OCCURRENCES))
+        with Pool(budget, place) as pool:
+            contents = Contents(pool, length)
+            for rows, goes_on in shards(batches, part):
+                contents.add(rows, goes_on)
+                if not goes_on and len(contents):
+                    yield from repeated(contents.seal())
+                    contents.words.drop()
+                    contents.places.drop()
+                    contents = Contents(pool, length)
+
+    return found(docs, run, length)
 
 
 def suffix_dedup(docs: DataFrame, length: int = LENGTH) -> DataFrame:
