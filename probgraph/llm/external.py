@@ -85,7 +85,7 @@ class Column:
 
     def __init__(self, pool: Pool, dtype=np.int64):
         self.pool, self.dtype = pool, np.dtype(dtype)
-        self.block = max(64, pool.budget // 64 // self.dtype.itemsize)
+        self.block = max(64, pool.budget // 32 // self.dtype.itemsize)
         self.ids: list[int] = []
         self.tail: list[np.ndarray] = []
         self.n = self.waiting = 0

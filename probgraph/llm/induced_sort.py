@@ -19,7 +19,7 @@ import numpy as np
 
 from probgraph.llm.external import Column, Pool, Queue
 
-BASE = 1 << 12
+BASE = 1 << 14
 
 
 def _common(text: Column, a: np.ndarray, b: np.ndarray, known: np.ndarray, cap: int) -> np.ndarray:
@@ -133,11 +133,13 @@ class _Scan:
                 order = np.argsort(rows[0], kind="stable")
                 rows, fixed = rows[:, order], fixed[order]
                 to, live = self.targets(rows, fixed)
-                # as far as no suffix induces one of a symbol that is at hand
-                low = np.minimum.accumulate(np.where(live, to, np.iinfo(np.int64).max))
-                last = np.append(rows[0, 1:] != rows[0, :-1], True)
-                fine = np.flatnonzero(last & (low > rows[0]))
-                end = int(fine[-1]) + 1 if len(fine) else 0
+                own = live & (to == rows[0]) & (rows[0] != self.key)
+                end = self.reach(rows, to, live & ~own)
+                if own[:end].any():
+                    rows, fixed = self.unrolled(rows[:, :end], fixed[:end], own[:end])
+                    to, live = self.targets(rows, fixed)
+                    live &= (to != rows[0]) | (rows[0] == self.key)
+                    end = self.reach(rows, to, live)
             if end:
                 bound = rows[0, end - 1] + 1
                 queue.skip_under(bound)
@@ -151,6 +153,36 @@ class _Scan:
             fixed = np.full(rows.shape[1], done)
             self.block(rows, fixed, *self.targets(rows, fixed), False)
 
+    @staticmethod
+    def reach(rows: np.ndarray, to: np.ndarray, live: np.ndarray) -> int:
+        """How many suffixes of whole symbols can be taken so that none induces one of a symbol that is at hand."""
+        low = np.minimum.accumulate(np.where(live, to, np.iinfo(np.int64).max))
+        fine = np.flatnonzero(np.append(rows[0, 1:] != rows[0, :-1], True) & (low > rows[0]))
+        return int(fine[-1]) + 1 if len(fine) else 0
+
+    def unrolled(self, rows: np.ndarray, fixed: np.ndarray, own: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """With all that suffixes induce for their own symbol c: after those that begin with one c come those with two, and so on, each time in the same order."""
+        found, levels, seqs = [rows], [np.zeros(rows.shape[1], np.int64)], [np.arange(rows.shape[1])]
+        cur, least, level = np.arange(rows.shape[1]), rows[2], 1
+        keep = own
+        while keep.any():
+            if not keep.all():
+                # the least prefix since the suffix before that is still there
+                at = np.flatnonzero(keep)
+                least = np.minimum.reduceat(least[: at[-1] + 1], np.append(0, at[:-1] + 1))
+                cur = cur[at]
+            key, position = rows[0, cur], rows[1, cur] - level
+            prefix = np.minimum(np.where(np.append(True, key[1:] != key[:-1]), level, least + level), self.cap)
+            found.append(np.stack([key, position, prefix]))
+            levels.append(np.full(len(cur), level))
+            seqs.append(cur)
+            keep = (position > 0) & (self.sign * self.text.take(np.maximum(position - 1, 0)) == key)
+            level += 1
+        rows, seq = np.concatenate(found, axis=1), np.concatenate(seqs)
+        fixed = np.append(fixed, np.zeros(rows.shape[1] - len(fixed), bool))
+        order = np.lexsort((seq, np.concatenate(levels), fixed, rows[0]))
+        return rows[:, order], fixed[order]
+
     def targets(self, rows: np.ndarray, fixed: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Key of the suffix before each one, and whether it is of the scan's kind."""
         before = rows[1] - 1

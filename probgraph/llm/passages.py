@@ -5,7 +5,7 @@ equal ones), which depends on the window's words alone. Consecutive windows with
 the minimizer's hash: equal windows, in whatever texts, always meet, and each window is sent exactly once. Segments of equal words are sent once
 for all their occurrences in a batch of texts, 20 bytes each, so a passage that every text holds costs a task little more than its places.
 
-A segment carries 16 bits a word, by which the operators find repeats. Before anything is reported or cut, each repeat is
+A segment carries 16 bits a word, by which the operators find repeats. Segments that are equal as a whole are told by a 64-bit digest of their words. Before anything else is reported or cut, each repeat is
 verified against the 64-bit codes of both texts' words (:func:`verified`); of a repeat that fails, the runs of LENGTH and more words that do agree stay.
 
 A text is known by its doc_id and the hash of its words; rows equal in both are one text. Shorter texts have no window. Null text is empty,
@@ -222,25 +222,33 @@ class Contents:
         which = np.searchsorted(self.begin, position, "right") - 1
         return which, position - self.begin[which]
 
-    def spans(self, which: np.ndarray, lo: np.ndarray, hi: np.ndarray, source: np.ndarray, shift: np.ndarray, others: bool = False, batch: int = 200_000) -> Iterator[pa.RecordBatch]:
-        """Rows of ``OCCURRENCES``: windows lo..hi - 1 of segments, wherever these occur, repeat windows lo + shift.. of the first occurrence of ``source``; that itself is no repeat. others: not for a segment's first occurrence."""
-        ends = np.cumsum(self.count[which])
+    def again(self, batch: int = 200_000) -> Iterator[pa.RecordBatch]:
+        """Rows of ``OCCURRENCES``: segments that occurred before as a whole, which the digest of their words tells for sure."""
+        many = np.flatnonzero(self.count > 1)
+        ends = np.cumsum(self.count[many])
         at = 0
-        while at < len(which):
+        while at < len(many):
             to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + batch)))
-            w, a, b, s, d = (x[at:to] for x in (which, lo, hi, source, shift))
-            many = self.count[w]
-            each = np.repeat(np.arange(len(w)), many)
-            nth = np.arange(int(many.sum())) - np.repeat(np.cumsum(many) - many, many)
-            p = self.places.take(self.at[w][each] + nth)
-            begin = p["lo"] + a[each]
-            first = self.doc[s][each], self.key[s][each], self.lo[s][each] + (a + d)[each]
-            keep = ~((p["doc"] == first[0]) & (p["key"] == first[1]) & (begin == first[2]))
-            if others:
-                keep &= nth > 0
-            cols = p["doc"], p["key"], begin.astype(np.int32), (begin + (b - a)[each] + self.length - 1).astype(np.int32), first[0], first[1], first[2].astype(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(c[keep])) for c in cols], names=NAMES)
-            at = to
+            w, at = many[at:to], to
+            count = self.count[w] - 1  # the first one stays
+            each = np.repeat(w, count)
+            p = self.places.take(np.repeat(self.at[w] + 1 - np.cumsum(count) + count, count) + np.arange(int(count.sum())))
+            # rows that are the same text occur at the same place
+            keep = (p["doc"] != self.doc[each]) | (p["key"] != self.key[each]) | (p["lo"] != self.lo[each])
+            p, each = p[keep], each[keep]
+            yield self._rows(p["doc"], p["key"], p["lo"], p["lo"] + self.n[each] + self.length - 1, self.doc[each], self.key[each], self.lo[each], True)
+
+    def spans(self, which: np.ndarray, lo: np.ndarray, hi: np.ndarray, source: np.ndarray, shift: np.ndarray) -> pa.RecordBatch:
+        """Rows of ``OCCURRENCES``: windows lo..hi - 1 of segments, where these occur first, repeat windows lo + shift.. of the first occurrence of ``source``; that itself is no repeat."""
+        keep = (which != source) | (shift != 0)
+        w, lo, hi, s, shift = which[keep], lo[keep], hi[keep], source[keep], shift[keep]
+        begin = self.lo[w] + lo
+        return self._rows(self.doc[w], self.key[w], begin, begin + hi - lo + self.length - 1, self.doc[s], self.key[s], self.lo[s] + lo + shift, False)
+
+    @staticmethod
+    def _rows(doc, key, lo, hi, first_doc, first_key, first_lo, sure: bool) -> pa.RecordBatch:
+        cols = [np.ascontiguousarray(c, t) for c, t in ((doc, np.int64), (key, np.int64), (lo, np.int32), (hi, np.int32), (first_doc, np.int64), (first_key, np.int64), (first_lo, np.int32))]
+        return pa.RecordBatch.from_arrays([*map(pa.array, cols), pa.array(np.full(len(cols[0]), sure))], names=NAMES)
 
 
 def joined(which: np.ndarray, off: np.ndarray, source: np.ndarray, shift: np.ndarray) -> tuple[np.ndarray, ...]:
@@ -250,14 +258,16 @@ def joined(which: np.ndarray, off: np.ndarray, source: np.ndarray, shift: np.nda
     return which[at], off[at], off[np.append(at[1:], len(off)) - 1] + 1, source[at], shift[at]
 
 
-OCCURRENCES = "doc long, text_key long, lo int, hi int, first_doc long, first_key long, first_lo int"
+OCCURRENCES = "doc long, text_key long, lo int, hi int, first_doc long, first_key long, first_lo int, sure boolean"
 NAMES = [x.split()[0] for x in OCCURRENCES.split(", ")]
 
 
 def found(docs: DataFrame, run, length: int = LENGTH) -> DataFrame:
     """Verified, merged spans (doc, text_key, lo, hi, first_doc) that ``run`` finds in the segments, by minimizer. run: rows of ``SCHEMA`` in order to ``OCCURRENCES``."""
     rows = segments(docs, length).repartition("h").sortWithinPartitions("h", "digest")
-    return merged(verified(rows.mapInArrow(run, OCCURRENCES), docs, length))
+    spans = stage(rows.mapInArrow(run, OCCURRENCES))
+    own = ["doc", "text_key", "lo", "hi", "first_doc"]
+    return merged(spans.filter("sure").select(*own).unionByName(verified(spans.filter("not sure").drop("sure"), docs, length).select(*own)))
 
 
 def _asked(docs: DataFrame, ranges: DataFrame, whole: bool) -> DataFrame:

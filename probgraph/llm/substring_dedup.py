@@ -97,6 +97,7 @@ def factored(text: np.ndarray, begin: np.ndarray, size: np.ndarray, length: int)
 def repeated(contents: Contents, block: int = BLOCK) -> Iterator[pa.RecordBatch]:
     """Rows of ``OCCURRENCES``."""
     c, length = contents, contents.length
+    yield from c.again()  # a segment that occurs again is a factor as a whole
     order = np.argsort(c.rank)
     size = c.n + length - 1
     part = np.cumsum(size[order] + 1) // block
@@ -121,11 +122,7 @@ def repeated(contents: Contents, block: int = BLOCK) -> Iterator[pa.RecordBatch]
             of, from_ = np.searchsorted(begin, at, "right") - 1, np.searchsorted(begin, source, "right") - 1
             off, there = at - begin[of], source - begin[from_]
             if len(at):
-                yield from c.spans(*joined(which[of], off, which[from_], there - off))
-    # a segment that occurs again is a factor as a whole
-    again = np.flatnonzero(c.count > 1)
-    if len(again):
-        yield from c.spans(again, np.zeros(len(again), np.int64), c.n[again], again, np.zeros(len(again), np.int64), others=True)
+                yield c.spans(*joined(which[of], off, which[from_], there - off))
 
 
 def factor_spans(docs: DataFrame, length: int = LENGTH, part: int = PART, block: int = BLOCK, budget: int = BUDGET) -> DataFrame:

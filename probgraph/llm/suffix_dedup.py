@@ -33,6 +33,7 @@ BUDGET = 256 << 20
 def repeated(contents: Contents) -> Iterator[pa.RecordBatch]:
     """Rows of ``OCCURRENCES``."""
     c, length, pool = contents, contents.length, contents.pool
+    yield from c.again()
     step = induced_sort.live_block(pool)
     text = Column(pool, np.int32)
     for x in c.words.chunks():
@@ -51,9 +52,8 @@ def repeated(contents: Contents) -> Iterator[pa.RecordBatch]:
             return
         start = np.flatnonzero(np.append(True, run[1:] != run[:-1]))
         size = np.diff(np.append(start, len(run)))
-        times = np.add.reduceat(c.count[which], start)
         first = np.minimum.reduceat(c.rank[which] << 32 | off, start)
-        again = np.repeat(times > 1, size)
+        again = np.repeat(size > 1, size)
         place.push(position[again], np.repeat(first, size)[again], np.zeros(int(again.sum()), np.int64))
 
     held, total = [], 0
@@ -73,7 +73,7 @@ def repeated(contents: Contents) -> Iterator[pa.RecordBatch]:
     by_rank = np.argsort(c.rank)
     for rows in place.drain():
         which, off = c.of(rows[0])
-        yield from c.spans(*joined(which, off, by_rank[rows[1] >> 32], (rows[1] & 0xFFFFFFFF) - off))
+        yield c.spans(*joined(which, off, by_rank[rows[1] >> 32], (rows[1] & 0xFFFFFFFF) - off))
 
 
 def duplicate_spans(docs: DataFrame, length: int = LENGTH, budget: int = BUDGET, part: int = PART) -> DataFrame:
