@@ -20,17 +20,16 @@ of those at it would be) are dropped; the rest are checked exactly, set against
 Groups: texts that are near duplicates of each other in both directions are linked, and linked texts are one group; the largest set, then
 the lowest doc_id, stays. A text that is only contained in a larger one is dropped for it, but doesn't link the larger one to others.
 
+A pair's sets are compared as stored with the sketches, so texts are read and cut in words once, whole, however long. An empty table has no duplicates. Further columns aren't read and stay as they are.
+
 Texts without words are in no group. Sets of fewer than ``least`` shingles count only if they hold ``threshold`` of each other.
 Rows equal in doc_id and words are one text, of which one row stays; so do, of rows with null text, one for a doc_id. A null doc_id counts as the lowest id."""
 
 from __future__ import annotations
 
 import math
-import shutil
-import uuid
 from collections.abc import Iterator
 from functools import cache
-from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
@@ -40,11 +39,11 @@ from pyspark.sql import functions as F
 
 from probgraph.llm.passages import NULL_DOC, text_key
 from probgraph.llm.text import Codes, grams, mix, words
-from probgraph.runtime import cut, fresh, shared_dir, small, stage
+from probgraph.runtime import cut, fresh, small, stage
 
 SHINGLE, HASHES, THRESHOLD, RATIO, RECALL, LEAST = 3, 96, 0.7, math.inf, 0.95, 10
-#: Sizes up to NEAR times apart meet by bands, others by FEW shingles of the smaller set, FEW_NODES sets a file.
-NEAR, FEW, FEW_NODES = 2.5, 12, 500_000
+#: Sizes up to NEAR times apart meet by bands, others by FEW shingles of the smaller set; up to FILTERED of these are held against all shingles before the shuffle.
+NEAR, FEW, FILTERED = 2.5, 12, 16_000_000
 STEPS = 4  # partitions a doubling
 
 
@@ -120,7 +119,7 @@ def bands(t: float = THRESHOLD, ratio: float = NEAR, recall: float = RECALL) ->
     return most
 
 
-SKETCH = "node long, doc long, text_key long, n int, set_key long, signature binary, low binary, few array<int>"
+SKETCH = "node long, doc long, text_key long, n int, set_key long, signature binary, low binary, few array<int>, shingles binary"
 #: Rows of ids that may be broadcast to keep texts from being shuffled; beyond it they are joined by a shuffle.
 ID_ROWS = 2_000_000
 
@@ -143,9 +142,9 @@ def sketches(docs: DataFrame) -> DataFrame:
                 s, key = shingles(code), text_key(code)
                 node = node_id(doc, key)
                 sig = signature(s)
-                rows.append((node, doc, key, len(s), xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63), sig.tobytes(), sig.astype(np.uint8).tobytes(), few(s)))
-            c = list(zip(*rows)) if rows else [()] * 8
-            yield pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array(c[2], pa.int64()), pa.array(c[3], pa.int32()), pa.array(c[4], pa.int64()), pa.array(c[5], pa.binary()), pa.array(c[6], pa.binary()), pa.array(c[7], pa.list_(pa.int32()))], names=["node", "doc", "text_key", "n", "set_key", "signature", "low", "few"])
+                rows.append((node, doc, key, len(s), xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63), sig.tobytes(), sig.astype(np.uint8).tobytes(), few(s), s.tobytes()))
+            c = list(zip(*rows)) if rows else [()] * 9
+            yield pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array(c[2], pa.int64()), pa.array(c[3], pa.int32()), pa.array(c[4], pa.int64()), pa.array(c[5], pa.binary()), pa.array(c[6], pa.binary()), pa.array(c[7], pa.list_(pa.int32())), pa.array(c[8], pa.binary())], names=["node", "doc", "text_key", "n", "set_key", "signature", "low", "few", "shingles"])
 
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC)).alias("doc"), F.col("text").cast("string")).filter("text is not null")
     return rows.mapInArrow(run, SKETCH)
@@ -230,54 +229,41 @@ def all_pairs(rows: DataFrame, t: float, ratio: float, recall: float) -> DataFra
     return many.mapInArrow(pairs, PAIRS).distinct()  # the window has put each bucket in one partition
 
 
-def far_pairs(docs: DataFrame, nodes: DataFrame, settled: DataFrame, t: float, ratio: float, recall: float, least: int) -> DataFrame:
+def far_pairs(every: DataFrame, nodes: DataFrame, settled: DataFrame, t: float, ratio: float, recall: float, least: int, filtered: int = FILTERED) -> DataFrame:
     """(a, b, na, nb): nodes with those more than NEAR times their size in which enough of their few shingles are.
 
-    The few shingles are put in files, sorted, which tasks map to memory; each text is counted against all of them where it is read, so only pairs with enough are sent."""
-    asked = stage(nodes.join(settled, "node", "left_anti").filter(F.col("n") >= least).select("node", "n", "few"))
-    base = f"{shared_dir(docs.sparkSession)}/few-{uuid.uuid4().hex}"
-    place = Path(base.removeprefix("file://"))
-    place.mkdir(parents=True)
-    parts = max(1, -(-asked.count() // FEW_NODES))
-    for k in range(parts):
-        got = asked.filter(F.pmod(F.xxhash64("node"), F.lit(parts)) == k).toArrow()
-        sets = got.column("few").combine_chunks()
-        keys, of = sets.flatten().to_numpy().view(np.uint32), np.repeat(np.arange(len(sets), dtype=np.int32), sets.value_lengths().to_numpy())
-        order = np.argsort(keys, kind="stable")
-        for name, x in (("keys", keys[order]), ("of", of[order]), ("node", got.column("node").to_numpy()), ("n", got.column("n").to_numpy())):
-            np.save(place / f"{name}-{k}.npy", x)
-    need = np.array([0] + [least_found(n, t, recall) for n in range(1, FEW + 2)])
-
-    def found(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codes = Codes()
-        index = [[np.load(place / f"{name}-{k}.npy", mmap_mode="r") for name in ("keys", "of", "node", "n")] for k in range(parts)]
+    An inverted index: the few shingles meet all shingles of all nodes by a shuffle on the shingle, and a pair's common ones are counted. Up to ``filtered``
+    few shingles, a table of bits of them drops the others' shingles that none asks for before the shuffle; the pairs are the same without it."""
+    asked = stage(nodes.join(settled, "node", "left_anti").filter(F.col("n") >= least).select(F.explode("few").alias("s"), F.col("node").alias("a"), F.col("n").alias("na")))
+    bits = None
+    if asked.count() <= filtered:
+        table = np.zeros(1 << 25, np.uint8)
+        keys = asked.select("s").distinct().toArrow().column(0).to_numpy().view(np.uint32)
+        np.bitwise_or.at(table, keys >> np.uint32(7), np.uint8(1) << ((keys >> np.uint32(4)) & np.uint32(7)).astype(np.uint8))
+        bits = every.sparkSession.sparkContext.broadcast(table)
+
+    def index(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in (x.slice(at, 500) for x in batches for at in range(0, x.num_rows, 500)):
-            out = [np.zeros((4, 0), np.int64)]
-            for doc, text in zip(b.column(0).to_pylist(), b.column(1)):
-                code = words(text.as_py(), codes)
-                if len(code) <= NEAR * least:  # it has no more shingles than words
-                    continue
-                s = shingles(code)
-                me = node_id(doc, text_key(code))
-                for keys, of, node, n in index:
-                    if not len(keys):
-                        continue
-                    at = np.minimum(np.searchsorted(keys, s), len(keys) - 1)
-                    hit = keys[at] == s
-                    low = at[hit]
-                    many = np.searchsorted(keys, s[hit], "right") - low
-                    owner, hits = np.unique(of[np.repeat(low - np.cumsum(many) + many, many) + np.arange(many.sum())], return_counts=True)
-                    size = n[owner]
-                    owner = owner[(len(s) > NEAR * size) & (len(s) <= ratio * size) & (hits >= need[np.minimum(size, FEW + 1)])]
-                    if len(owner):
-                        out.append(np.stack([node[owner], np.full(len(owner), me), n[owner].astype(np.int64), np.full(len(owner), len(s))]))
-            c = np.concatenate(out, 1)
-            yield pa.RecordBatch.from_arrays([pa.array(c[0]), pa.array(c[1]), pa.array(c[2].astype(np.int32)), pa.array(c[3].astype(np.int32))], names=["a", "b", "na", "nb"])
-
-    texts = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC)).alias("doc"), F.col("text").cast("string")).filter("text is not null")
-    pairs = stage(texts.mapInArrow(found, "a long, b long, na int, nb int"))
-    shutil.rmtree(place)
-    return pairs.distinct().join(nodes.select(F.col("node").alias("b")), "b", "left_semi").select("a", "b", "na", "nb")
+            own = b.column(2).to_pylist()
+            s = np.frombuffer(b"".join(own), np.uint32)
+            at = np.repeat(np.arange(len(own)), [len(x) // 4 for x in own])
+            if bits is not None:
+                on = (bits.value[s >> np.uint32(7)] >> ((s >> np.uint32(4)) & np.uint32(7)).astype(np.uint8)) & 1 > 0
+                s, at = s[on], at[on]
+            yield pa.RecordBatch.from_arrays([pa.array(s.view(np.int32)), b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at))], names=["s", "b", "nb"])
+
+    large = every.filter(F.col("n") > NEAR * least).select("node", "n", "shingles").join(small(nodes.select("node"), ID_ROWS), "node", "left_semi")
+    have = large.mapInArrow(index, "s int, b long, nb int")
+    need = F.element_at(F.lit([least_found(n, t, recall) for n in range(1, FEW + 2)]), F.least("na", F.lit(FEW + 1)))
+    met = asked.join(have, "s").filter((F.col("nb") > NEAR * F.col("na")) & (F.col("nb") <= ratio * F.col("na")))
+    # rows equal in doc_id and words are one node: each of them counts all common shingles
+    hits = met.groupBy("a", "b", "na", "nb").agg(F.countDistinct("s").alias("hits")) if _twice(every) else met.groupBy("a", "b", "na", "nb").agg(F.count("*").alias("hits"))
+    return hits.filter(F.col("hits") >= need).select("a", "b", "na", "nb")
+
+
+def _twice(every: DataFrame) -> bool:
+    """Whether some rows are equal in doc_id and words."""
+    return not every.groupBy("node").count().filter("count > 1").isEmpty()
 
 
 #: A pair at its threshold is ruled out by its signatures with at most this probability (that of 4 standard errors of a normal variable).
@@ -348,39 +334,24 @@ def few_links(pairs: DataFrame) -> DataFrame:
 CHECKED = "a long, b long, na int, nb int, shared int"
 
 
-def checked(pairs: DataFrame, docs: DataFrame, nodes: DataFrame) -> DataFrame:
-    """Exact number of shared shingles of each pair. Only the texts that are in a pair are made sets of again."""
-    used = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
-    keys = stage(used.join(nodes.select("node", "doc", "text_key"), "node"))
-
-    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codes = Codes()
-        for b in (x.slice(at, 500) for x in batches for at in range(0, x.num_rows, 500)):
-            found = [words(t.as_py(), codes) for t in b.column(1)]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([text_key(c) for c in found], pa.int64()), pa.array([shingles(c).tobytes() for c in found], pa.binary())], names=["doc", "text_key", "shingles"])
+def checked(pairs: DataFrame, every: DataFrame) -> DataFrame:
+    """Exact number of shared shingles of each pair."""
+    used = small(cut(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()), ID_ROWS)
+    have = every.select("node", "shingles").join(used, "node", "left_semi").dropDuplicates(["node"])
 
     def shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             got = [len(np.intersect1d(np.frombuffer(x.as_py(), np.uint32), np.frombuffer(y.as_py(), np.uint32), assume_unique=True)) for x, y in zip(b.column(4), b.column(5))]
             yield pa.RecordBatch.from_arrays([*b.columns[:4], pa.array(got, pa.int32())], names=["a", "b", "na", "nb", "shared"])
 
-    texts = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC)).alias("doc"), F.col("text").cast("string")).filter("text is not null")
-    wanted = texts.join(small(keys.select("doc").distinct(), ID_ROWS), "doc", "left_semi").select("doc", "text").mapInArrow(sets, "doc long, text_key long, shingles binary")
-    have = stage(wanted.join(small(keys, ID_ROWS), ["doc", "text_key"]).select("node", "shingles"))
-    have = have if docs_are_distinct(keys, have) else have.dropDuplicates(["node"])
     both = pairs.join(have.select(F.col("node").alias("a"), F.col("shingles").alias("sa")), "a").join(have.select(F.col("node").alias("b"), F.col("shingles").alias("sb")), "b")
     return both.select("a", "b", "na", "nb", "sa", "sb").mapInArrow(shared, CHECKED)
 
 
-def docs_are_distinct(keys: DataFrame, have: DataFrame) -> bool:
-    """Whether no text of the keys is there in two rows."""
-    return keys.count() == have.count()
-
-
-def components(edges: DataFrame, most: int = 40) -> DataFrame:
+def components(edges: DataFrame) -> DataFrame:
     """(node, group) of the nodes of undirected edges (a, b): the group is its least node. Alternating large and small stars."""
     pairs = cut(edges.select("a", "b").distinct())
-    for _ in range(most):
+    while True:  # stars converge in a logarithmic number of rounds
         both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
         large = both.join(low, "a").filter("b > a").select(F.col("b").alias("x"), F.col("m").alias("y")).filter("x <> y")
@@ -407,7 +378,7 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, ratio: float
 
     narrow = {max(most): most[max(most)]}
     stars = star_pairs(band_rows(nodes.withColumn("group", F.col("node")), narrow), near)
-    first = stage(checked(stage(few_links(plausible(stars, nodes, threshold, near))), docs, nodes))
+    first = stage(checked(stage(few_links(plausible(stars, nodes, threshold, near))), every))
     grouped = small(cut(components(first.filter(mutual))), ID_ROWS)
     best = F.max_by(F.struct("node", "n"), F.struct("n", F.bitwise_not("doc"), F.bitwise_not("text_key")))
     in_group = nodes.select("node", "doc", "text_key", "n").join(grouped, "node")
@@ -415,8 +386,8 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, ratio: float
     rows = band_rows(nodes.join(grouped, "node", "left").withColumn("group", F.coalesce("group", "node")), most)
     candidates = plausible(all_pairs(rows, threshold, near, recall), nodes, threshold, near, settled).drop("j")
     if ratio > NEAR:
-        candidates = candidates.unionByName(far_pairs(docs, nodes, settled, threshold, ratio, recall, least))
-    second = stage(checked(stage(candidates), docs, nodes))
+        candidates = candidates.unionByName(far_pairs(every, nodes, settled, threshold, ratio, recall, least))
+    second = stage(checked(stage(candidates), every))
     found = first.unionByName(second)
     groups = components(found.filter(mutual))
     info = nodes.select("node", "doc", "text_key", "n")
