@@ -7,7 +7,7 @@ winner is confirmed if the wording differs from the template's by at most ``max_
 Empty tables give no rows; very long texts are read whole; further columns aren't read. Every template has one of ``TRIGGERS`` among its key words, so the line filter, which runs in generated code before any Python, loses nothing that could be confirmed.
 
 Result: one row per confirmed notice: doc_id, line where it begins (from 0), license, reduction, n_diff, diff (``-word +word``). A block counts if its first and last
-line hold words of the notice. Of blocks whose notices share words the one with the fewest differences counts, then the one with the largest reduction, and so of
+line hold words of the notice. Of blocks whose notices share words the one of most words counts, twice its differences taken off, then the one with the largest reduction, and so of
 notices that begin on one line; ties go to the template named first. Null and empty texts have no lines. Repeated rows give repeated results."""
 
 from __future__ import annotations
@@ -154,7 +154,7 @@ class Scanner:
             same = [m for m in difflib.SequenceMatcher(None, self.words[got[1]], have, autojunk=False).get_matching_blocks() if m.size]
             x, y = same[0].b, same[-1].b + same[-1].size
             if x < len(of[s]) and y > len(have) - len(of[e]):
-                found.append((got[2], -got[0], e - s, s, began[s] + x, began[s] + y, got))
+                found.append((2 * got[2] - len(self.words[got[1]]), -got[0], e - s, s, began[s] + x, began[s] + y, got))
         taken, out = [], {}
         for *_, s, x, y, got in sorted(found, key=lambda f: f[:5]):
             if all(y <= a or b <= x for a, b in taken):
