@@ -12,7 +12,8 @@ from pyspark.sql import functions as F
 from probgraph.runtime import cut
 from probgraph.sources import nodes as nodes_of
 
-MAX_ROUNDS = 60
+#: A graph of up to so many edges is labelled in one task, larger ones by stars.
+EDGES_IN_TASK = 20_000_000
 
 
 def least_labels(src: np.ndarray, dst: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -51,7 +52,7 @@ def by_world(live: DataFrame) -> DataFrame:
 def by_edge(live: DataFrame) -> DataFrame:
     """A world doesn't fit in a task: alternating large and small stars, keyed by (world, node); two shuffles a round."""
     pairs = cut(live.select("world", F.greatest("src", "dst").alias("a"), F.least("src", "dst").alias("b")).distinct())
-    for _ in range(MAX_ROUNDS):
+    while True:  # a logarithmic number of rounds
         both = pairs.unionByName(pairs.select("world", F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("world", "a").agg(F.min("b").alias("n")).select("world", "a", F.least("n", "a").alias("m"))
         large = both.join(low, ["world", "a"]).filter("b > a and b <> m").select("world", F.col("b").alias("a"), F.col("m").alias("b")).distinct()
@@ -85,8 +86,10 @@ def label(live: DataFrame, strategy: str = "world") -> DataFrame:
     return {"world": by_world, "edge": by_edge}[strategy](live)
 
 
-def label_support(edges: DataFrame, strategy: str = "world") -> DataFrame:
-    """(node, label) on the graph with all its edges."""
+def label_support(edges: DataFrame, strategy: str = "auto") -> DataFrame:
+    """(node, label) on the graph with all its edges. auto: in one task up to ``EDGES_IN_TASK`` edges, by stars beyond."""
+    if strategy == "auto":
+        strategy = "world" if edges.limit(EDGES_IN_TASK + 1).count() <= EDGES_IN_TASK else "edge"
     return label(edges.select(F.lit(0).alias("world"), "src", "dst"), strategy).select("node", "label")
 
 
@@ -102,7 +105,7 @@ def signatures(labels: DataFrame, nodes: DataFrame, r: int) -> DataFrame:
     return nodes.select("node").join(some, "node", "left").select("node", F.transform(F.sequence(F.lit(0), F.lit(r - 1)), lambda w: F.coalesce(F.try_element_at("m", w), F.col("node"))).alias("labels"))
 
 
-def largest(edges: DataFrame, strategy: str = "world") -> DataFrame:
+def largest(edges: DataFrame, strategy: str = "auto") -> DataFrame:
     """Edges of the largest component; of equal ones that with the least label."""
     lab = label_support(edges, strategy)
     best = lab.groupBy("label").count().orderBy(F.desc("count"), "label").limit(1).select("label")

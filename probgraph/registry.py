@@ -10,7 +10,7 @@ from probgraph.functions import edge_prob, harmonic, register
 from probgraph.operators import baselines, components, quality, reliability, worlds
 from probgraph.operators.cluster import cluster_avg, cluster_min
 from probgraph.operators.cover import Depth, Sampled, threshold_cover
-from probgraph.plans import workloads
+from probgraph.plans import guess, workloads
 from probgraph.runtime import cut
 from probgraph.sources import graphs, table
 from probgraph.streaming import interactions
@@ -199,10 +199,15 @@ def best_source_min(spark, sf):
     return reliability.best_source(None, R, "min", cut(reliability.sampled_signatures(e, R))).withColumn("value", F.round("value", 6))
 
 
-@query()
+@query(
+    f"""{labels_sql()}, r0 as (select node, sum(n) as gain from lab join (select w, label, count(*) as n from lab group by all) using (w, label) group by node order by gain desc, node limit 1),
+h0 as (select w, label from lab where node = (select node from r0)), r1 as (select node, sum(n) as gain from lab join (select w, label, count(*) as n from lab anti join h0 using (w, label) group by all) using (w, label) group by node order by gain desc, node limit 1),
+h1 as (select * from h0 union select w, label from lab where node = (select node from r1)), r2 as (select node, sum(n) as gain from lab join (select w, label, count(*) as n from lab anti join h1 using (w, label) group by all) using (w, label) group by node order by gain desc, node limit 1)
+select 0 as rank, node, round(gain / {R}.0::double, 6) as gain from r0 union all select 1, node, round(gain / {R}.0::double, 6) from r1 union all select 2, node, round(gain / {R}.0::double, 6) from r2"""
+)
 def greedy_spread(spark, sf):
     e = supplier_graph(spark, sf)
-    return reliability.greedy_spread(components.full(components.label(worlds.sample(e, R)), components.nodes(e), R), 3, R)
+    return reliability.greedy_spread(components.full(components.label(worlds.sample(e, R)), components.nodes(e), R), 3, R).withColumn("gain", F.round("gain", 6))
 
 
 _HOPS = f"""with recursive {GS}, {NODES}, {live_sql()}, adj as (select w, src as a, dst as b from live union all select w, dst, src from live),
@@ -239,16 +244,30 @@ def conn_exact_depth2(spark, sf):
     return reliability.exact_pairs(graphs.nation(spark, sf), 2).withColumn("prob", F.round("prob", 6))
 
 
-@query(f"{_exact_sql(None)}, b as (select u, v, prob from ex union all select v, u, prob from ex) select p.u, p.v, q.v as z, round(o.prob - p.prob * q.prob, 5) as slack from b p join b q on p.v = q.u and p.u < q.v join b o on o.u = p.u and o.v = q.v")
+@query(f"{_exact_sql(None)}, b as (select u, v, prob from ex union all select v, u, prob from ex) select p.u, p.v, q.v as z, round(o.prob - p.prob * q.prob, 5) + 0.0::double as slack from b p join b q on p.v = q.u and p.u < q.v join b o on o.u = p.u and o.v = q.v")
 def triangle_slack(spark, sf):
-    return reliability.triangle_slack(cut(reliability.exact_pairs(graphs.nation(spark, sf)))).withColumn("slack", F.round("slack", 5))
+    return reliability.triangle_slack(cut(reliability.exact_pairs(graphs.nation(spark, sf)))).withColumn("slack", F.round("slack", 5) + F.lit(0.0))
 
 
-@query()
+def _monotone_sql() -> str:
+    """Exact probabilities twice: without the first edge, and with it for certain."""
+    first = "(select src from e order by src, dst limit 1) and {t}dst = (select dst from e order by src, dst limit 1)"
+    parts = []
+    for name, keep, prob in (("absent", "not (src = " + first.format(t="") + ")", "prob"), ("present", "true", "case when src = " + first.format(t="") + " then 1.0 else prob end")):
+        parts.append(f"""g_{name} as (select src, dst, {prob} as prob, n_regionkey as reg, row_number() over (partition by n_regionkey order by src, dst) - 1 as bit, count(*) over (partition by n_regionkey) as m from e join nation on src = n_nationkey where {keep}),
+w_{name} as (select distinct reg, mask from g_{name}, range(1024) t(mask) where mask < (1 << m::int)),
+p_{name} as (select w.reg, mask, product(case when (mask >> bit::int) & 1 = 1 then prob else 1 - prob end) as weight from w_{name} w join g_{name} g on g.reg = w.reg group by all),
+a_{name} as (select w.reg, mask, src as a, dst as b from w_{name} w join g_{name} g on g.reg = w.reg where (mask >> bit::int) & 1 = 1 union all select w.reg, mask, dst, src from w_{name} w join g_{name} g on g.reg = w.reg where (mask >> bit::int) & 1 = 1),
+k_{name} as (select reg, mask, a as u, a as v from (select distinct reg, mask, a from a_{name}) union select r.reg, r.mask, u, x.b from k_{name} r join a_{name} x on x.reg = r.reg and x.mask = r.mask and x.a = r.v),
+x_{name} as (select u, v, sum(weight) as prob from (select distinct reg, mask, u, v from k_{name}) join p_{name} using (reg, mask) where u < v group by all)""")
+    return f"with recursive {graphs.NATION_SQL}, {', '.join(parts)} select u, v, round(coalesce(x_absent.prob, 0), 6) as absent, round(coalesce(x_present.prob, 0), 6) as present from x_present full join x_absent using (u, v)"
+
+
+@query(_monotone_sql())
 def edge_monotone(spark, sf):
     e = cut(graphs.nation(spark, sf))
     s, d, _ = e.orderBy("src", "dst").first()
-    return reliability.edge_monotone(e, s, d)
+    return reliability.edge_monotone(e, s, d).select("u", "v", F.round("absent", 6).alias("absent"), F.round("present", 6).alias("present"))
 
 
 @query(f"with {GS} select round(sum(ln(least(prob, 1 - prob))), 4) as log_p from e where prob < 1")
@@ -303,7 +322,8 @@ def _alpha_sql(q: float, q_disk: float, k: int) -> str:
 nbs as (select list(struct_pack(node := node, l := l, d := d) order by node) as a from both_),
 g(i, left_, centers) as (select 0, (select list(node) from v), []::bigint[] union all
   select i + 1, list_filter(left_, lambda x: not list_contains(c.l, x)), list_append(centers, c.node) from (select i, left_, centers, list_reduce(list_transform(list_filter(a, lambda s: list_contains(left_, s.node)), lambda s: struct_pack(node := s.node, l := s.l, n := len(list_intersect(s.d, left_)))), lambda s, t: case when t.n > s.n then t else s end) as c from g, nbs where i < {k} and len(left_) > 0)),
-o as (select centers from g order by i desc limit 1), {_best('(select centers from o)', low)} select node, center, p_est, covered from z"""
+o as (select centers as first_, list_sort((select list(node) from v)) as every from g order by i desc limit 1),
+f as (select list_concat(first_, list_slice(list_filter(every, lambda x: not list_contains(first_, x)), 1, {k} - len(first_))) as centers from o), {_best('(select centers from f)', low)} select node, center, p_est, covered from z"""
 
 
 @query(_alpha_sql(0.5, 0.6, 4))
@@ -340,9 +360,28 @@ def min_cluster(spark, sf):
     return c.assignment.withColumn("p_est", F.round("p_est", 6))
 
 
-@query()
+def _schedule_sql(k: int, avg: bool, gamma: float = 0.1, floor: float = 1e-4) -> str:
+    """The practical guesses and the bisection after them, over the covers of all thresholds of R worlds (there are only R). avg: the best mean of all attempts, later ones first; else the last full cover."""
+    qs = ", ".join(f"({i}, {q!r}::double)" for i, q in enumerate(guess.practical(gamma, floor)))
+    need = lambda q: f"greatest(0, ceil({q} * {R} - 1e-9))::bigint"
+    pick = "select centers from tried join f using (least) order by phi desc, step desc limit 1" if avg else "select centers from tried join f using (least) where miss = 0 order by q desc limit 1"
+    return f"""{labels_sql()}, {HITS}, few as (select unnest(range(1, {R} + 1))::bigint as least), nb as (select least, u as node, list(v) as l from h join few on hits >= least group by least, u),
+g(least, i, left_, centers) as (select least, 0, (select list(node) from v), []::bigint[] from few union all select g.least, i + 1, list_filter(left_, lambda x: not list_contains(nb.l, x)), list_append(centers, nb.node) from g join nb on nb.least = g.least and nb.node = list_min(left_) where i < {k} and len(left_) > 0),
+o as (select least, arg_max(centers, i) as first_, arg_max(len(left_), i) as miss, list_sort((select list(node) from v)) as every from g group by least),
+p as (select least, miss, list_concat(first_, list_slice(list_filter(every, lambda x: not list_contains(first_, x)), 1, {k} - len(first_))) as centers from o),
+pc as (select least, unnest(centers) as center from p), pv as (select least, v as node, max(case when center = v then {R} else hits end) as hits from pc join h on u = center group by all),
+ph as (select least, sum(hits) filter (where hits >= least) as phi from pv group by least), f as (select p.*, coalesce(phi, 0) as phi from p left join ph using (least)),
+sched(i, q) as (values {qs}), sc as (select i, q, {need('q')} as least from sched), fst as (select min(i) as i from sc join f using (least) where miss = 0),
+bis(step, low, high, q, least) as (select 100, a.q, coalesce(b.q, 1.0::double), null::double, null::bigint from sc a left join sc b on b.i = a.i - 1 where a.i = (select i from fst)
+  union all select step + 1, case when f.miss = 0 then (low + high) / 2 else low end, case when f.miss = 0 then high else (low + high) / 2 end, (low + high) / 2, f.least from bis join f on f.least = {need('(low + high) / 2')} where low / high <= 1 - {gamma}::double),
+tried as (select i as step, q, least from sc where i <= (select i from fst) union all select step, q, least from bis where least is not null),
+ch as ({pick}), {_best('(select centers from ch)', 0)} select node, coalesce(center, (select centers[1] from ch)) as center, p_est, true as covered from z"""
+
+
+@query(_schedule_sql(8, False))
 def min_cluster_bisect(spark, sf):
-    return cluster_min(supplier_graph(spark, sf), 8, sampling=R).assignment
+    c = cluster_min(supplier_graph(spark, sf), 8, sampling=R, order="id", pad="first", seed=SEED)
+    return c.assignment.withColumn("p_est", F.round("p_est", 6))
 
 
 @query()
@@ -351,24 +390,58 @@ def min_cluster_progressive(spark, sf):
 
 
 @query()
-def min_cluster_theory(spark, sf):
-    """The exact answer's schedule on a small graph: guarantees hold for every guess."""
+def min_cluster_exact(spark, sf):
+    """Exact probabilities on a small graph: the guarantee holds for every guess."""
     return cluster_min(graphs.nation(spark, sf), 5, schedule="geometric", exact=True, order="id", pad="first").assignment
 
 
+@query()
+def min_cluster_theory(spark, sf):
+    """As many worlds at each guess as the guarantee asks for, thresholds lowered by half of the relative error."""
+    return cluster_min(graphs.nation(spark, sf), 6, schedule="geometric", sampling="theory", order="id", pad="first").trace_df(spark).drop("millis")
+
+
+@query()
+def avg_cluster_theory_sampled(spark, sf):
+    """As many worlds at each guess as the guarantee of the mean asks for."""
+    return cluster_avg(graphs.nation(spark, sf), 6, mode="theory", sampling="theory", order="id", pad="first").trace_df(spark).drop("millis")
+
+
+@query()
+def avg_cluster_depth_theory(spark, sf):
+    """Mean connection within 6 hops: all candidates, disks within 2 hops, covers at the cube of the guess."""
+    return cluster_avg(supplier_graph(spark, sf), 8, mode="theory", depth=6, sampling=R, order="id", pad="first").assignment
+
+
 @query()
 def min_cluster_depth(spark, sf):
     return cluster_min(supplier_graph(spark, sf), 10, depth=4, sampling=R).assignment
 
 
-@query()
+def _avg_sql(k: int, gamma: float = 0.1, guesses: int = 40) -> str:
+    """All guesses' covers (at the cube, disks at the guess, every uncovered node a candidate), then the rounds: one goes on while its cube can beat the best mean so far."""
+    return f"""{labels_sql()}, {HITS}, qs as (select j, pow(1 + {gamma}::double, -j) as q from range(0, {guesses}) t(j)),
+th as (select j, q, greatest(0, ceil(q * q * q * {R} - 1e-9))::bigint as low, greatest(0, ceil(q * {R} - 1e-9))::bigint as disk from qs),
+nb as (select j, u as node, list(v) filter (where hits >= low) as l, list(v) filter (where hits >= disk) as d from h, th group by j, u),
+nbs as (select j, list(struct_pack(node := node, l := l, d := d) order by node) as a from nb group by j),
+g(j, i, left_, centers) as (select j, 0, (select list(node) from v), []::bigint[] from qs union all
+  select j, i + 1, list_filter(left_, lambda x: not list_contains(c.l, x)), list_append(centers, c.node) from (select g.j, i, left_, centers, list_reduce(list_transform(list_filter(a, lambda s: list_contains(left_, s.node)), lambda s: struct_pack(node := s.node, l := s.l, n := len(list_intersect(s.d, left_)))), lambda s, t: case when t.n > s.n then t else s end) as c from g join nbs using (j) where i < {k} and len(left_) > 0)),
+o as (select j, arg_max(centers, i) as first_, list_sort((select list(node) from v)) as every from g group by j),
+p as (select j, list_concat(first_, list_slice(list_filter(every, lambda x: not list_contains(first_, x)), 1, {k} - len(first_))) as centers from o),
+pv as (select j, v as node, max(case when center = v then {R} else hits end) as hits from (select j, unnest(centers) as center from p) join h on u = center group by all),
+ph as (select j, q, coalesce(sum(hits) filter (where hits >= low), 0) / ({R}.0::double * (select count(*) from v)) as phi from th left join pv using (j) group by j, q),
+lp(j, best, pick) as (select 0, phi, 0 from ph where j = 0 union all select ph.j, greatest(best, phi), case when phi >= best then ph.j else pick end from lp join ph on ph.j = lp.j + 1 where ph.q * ph.q * ph.q >= best),
+ch as (select centers from p where j = (select arg_max(pick, j) from lp)), {_best('(select centers from ch)', 0)} select node, coalesce(center, (select centers[1] from ch)) as center, p_est, true as covered from z"""
+
+
+@query(_avg_sql(8))
 def avg_cluster(spark, sf):
-    return cluster_avg(supplier_graph(spark, sf), 8, mode="theory", sampling=R, order="id").assignment
+    return cluster_avg(supplier_graph(spark, sf), 8, mode="theory", sampling=R, order="id", pad="first", seed=SEED).assignment.withColumn("p_est", F.round("p_est", 6))
 
 
-@query()
+@query(_schedule_sql(8, True))
 def avg_cluster_practical(spark, sf):
-    return cluster_avg(supplier_graph(spark, sf), 8, sampling=R).assignment
+    return cluster_avg(supplier_graph(spark, sf), 8, sampling=R, order="id", pad="first", seed=SEED).assignment.withColumn("p_est", F.round("p_est", 6))
 
 
 @query()
@@ -454,10 +527,13 @@ def farthest_first(spark, sf):
     return baselines.farthest_first(supplier_graph(spark, sf), 10)
 
 
-@query()
+@query(
+    f"""{labels_sql()}, {HITS}, g(i, centers) as (select 1, [(select min(node) from v)] union all select i + 1, list_append(centers, (select node from (select v.node, max(coalesce(hits, 0)) as best from v left join h on h.v = v.node and list_contains(centers, h.u) group by v.node) order by best, node limit 1)) from g where i < least(5, (select count(*) from v)))
+select (generate_subscripts(centers, 1) - 1)::int as rank, unnest(centers) as center from (select centers from g order by i desc limit 1)"""
+)
 def farthest_by_connection(spark, sf):
     p = Sampled(supplier_graph(spark, sf), SEED).ensure(R)
-    return spark.createDataFrame(list(enumerate(baselines.farthest_by_connection(p, min(5, p.n)))), "rank int, center long")
+    return spark.createDataFrame(list(enumerate(baselines.farthest_by_connection(p, min(5, p.n), order="id"))), "rank int, center long")
 
 
 @query(

@@ -46,15 +46,18 @@ def duck(sf_dir: str):
 
 
 def rows(df) -> list[tuple]:
-    """Rows in column-name order, floats rounded, sorted."""
+    """Rows in column-name order, numbers rounded (whole ones alike, whatever their type), sorted."""
     import pandas as pd
 
     pdf = df if isinstance(df, pd.DataFrame) else df.toPandas()
     pdf = pdf[sorted(pdf.columns)]
 
     def one(v):
-        if v is None or isinstance(v, float) and v != v or v is pd.NaT:
+        if v is None or v is pd.NA or v is pd.NaT or isinstance(v, float) and v != v:
             return "null"
-        return repr(round(float(v), 6)) if isinstance(v, float) else str(v)
+        if isinstance(v, float):
+            v = round(v, 6)
+            return str(int(v)) if v == int(v) else repr(float(v))
+        return str(v)
 
     return sorted(tuple(one(v) for v in r) for r in pdf.itertuples(index=False, name=None))
