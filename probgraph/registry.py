@@ -418,7 +418,7 @@ def min_cluster_depth(spark, sf):
     return cluster_min(supplier_graph(spark, sf), 10, depth=4, sampling=R).assignment
 
 
-def _avg_sql(k: int, gamma: float = 0.1, guesses: int = 40) -> str:
+def _avg_sql(k: int, gamma: float = 0.1, guesses: int = 14) -> str:
     """All guesses' covers (at the cube, disks at the guess, every uncovered node a candidate), then the rounds: one goes on while its cube can beat the best mean so far."""
     return f"""{labels_sql()}, {HITS}, qs as (select j, pow(1 + {gamma}::double, -j) as q from range(0, {guesses}) t(j)),
 th as (select j, q, greatest(0, ceil(q * q * q * {R} - 1e-9))::bigint as low, greatest(0, ceil(q * {R} - 1e-9))::bigint as disk from qs),
