@@ -9,8 +9,8 @@ its banding (rows a band, number of bands) is the most selective one of recall `
 pair counts if the banding of its two partitions has that band.
 
 Sets more than ``NEAR`` times as large have too low a Jaccard threshold for bands (hundreds of hashes of one row each), so there the query's ``FEW`` least
-hashed shingles are looked up in all larger sets: each of them is in X with probability ``threshold`` at least, and the number found has to be one that a
-pair at the threshold falls short of with probability 1 - ``recall`` at most. So every text is a query against every partition.
+hashed shingles are looked up in all larger sets: each of them is in X with probability ``threshold`` at least, and fewer than a certain number of them are in it
+with probability 1 - ``recall`` at most. So one of the rarest ones is in it, however many are left out, and only those are looked up. So every text is a query against every partition.
 
 Big groups: equal sets are one node. A first round checks each member of a bucket against the bucket's largest member of its own and the
 next partition only, and joins what is confirmed; the second round takes all pairs of a bucket that are not yet in one group. So a group
@@ -230,9 +230,9 @@ def all_pairs(rows: DataFrame, t: float, ratio: float, recall: float) -> DataFra
 
 
 def far_pairs(every: DataFrame, nodes: DataFrame, settled: DataFrame, t: float, ratio: float, recall: float, least: int, filtered: int = FILTERED) -> DataFrame:
-    """(a, b, na, nb): nodes with those more than NEAR times their size in which enough of their few shingles are.
+    """(a, b, na, nb): nodes with those more than NEAR times their size in which enough of their few shingles may be.
 
-    An inverted index: the few shingles meet all shingles of all nodes by a shuffle on the shingle, and a pair's common ones are counted. Up to ``filtered``
+    An inverted index: the rarest of the few shingles meet all shingles of all nodes by a shuffle on the shingle, so that passages which many texts share form no pairs. Up to ``filtered``
     few shingles, a table of bits of them drops the others' shingles that none asks for before the shuffle; the pairs are the same without it."""
     asked = stage(nodes.join(settled, "node", "left_anti").filter(F.col("n") >= least).select(F.explode("few").alias("s"), F.col("node").alias("a"), F.col("n").alias("na")))
     bits = None
@@ -254,16 +254,13 @@ def far_pairs(every: DataFrame, nodes: DataFrame, settled: DataFrame, t: float,
 
     large = every.filter(F.col("n") > NEAR * least).select("node", "n", "shingles").join(small(nodes.select("node"), ID_ROWS), "node", "left_semi")
     have = large.mapInArrow(index, "s int, b long, nb int")
+    # a pair that has ``need`` of m shingles has one of any m - need + 1: those that the fewest texts have
     need = F.element_at(F.lit([least_found(n, t, recall) for n in range(1, FEW + 2)]), F.least("na", F.lit(FEW + 1)))
-    met = asked.join(have, "s").filter((F.col("nb") > NEAR * F.col("na")) & (F.col("nb") <= ratio * F.col("na")))
-    # rows equal in doc_id and words are one node: each of them counts all common shingles
-    hits = met.groupBy("a", "b", "na", "nb").agg(F.countDistinct("s").alias("hits")) if _twice(every) else met.groupBy("a", "b", "na", "nb").agg(F.count("*").alias("hits"))
-    return hits.filter(F.col("hits") >= need).select("a", "b", "na", "nb")
-
-
-def _twice(every: DataFrame) -> bool:
-    """Whether some rows are equal in doc_id and words."""
-    return not every.groupBy("node").count().filter("count > 1").isEmpty()
+    often = have.groupBy("s").agg(F.count("*").alias("often"))
+    rare = Window.partitionBy("a").orderBy(F.coalesce("often", F.lit(0)), "s")
+    asked = asked.join(often, "s", "left").withColumn("rank", F.row_number().over(rare)).withColumn("m", F.count("*").over(Window.partitionBy("a")))
+    asked = asked.filter(F.col("rank") <= F.col("m") - need + 1).select("s", "a", "na")
+    return asked.join(have, "s").filter((F.col("nb") > NEAR * F.col("na")) & (F.col("nb") <= ratio * F.col("na"))).select("a", "b", "na", "nb").distinct()
 
 
 #: A pair at its threshold is ruled out by its signatures with at most this probability (that of 4 standard errors of a normal variable).
