@@ -39,7 +39,7 @@ from pyspark.sql import functions as F
 
 from probgraph.llm.passages import NULL_DOC, text_key
 from probgraph.llm.text import Codes, grams, mix, words
-from probgraph.runtime import cut, fresh, small, stage
+from probgraph.runtime import cut, fresh, release, small, stage
 
 SHINGLE, HASHES, THRESHOLD, RATIO, RECALL, LEAST = 3, 96, 0.7, math.inf, 0.95, 10
 #: Sizes up to NEAR times apart meet by bands, others by FEW shingles of the smaller set; up to FILTERED of these are held against all shingles before the shuffle.
@@ -380,11 +380,16 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, ratio: float
     best = F.max_by(F.struct("node", "n"), F.struct("n", F.bitwise_not("doc"), F.bitwise_not("text_key")))
     in_group = nodes.select("node", "doc", "text_key", "n").join(grouped, "node")
     settled = small(cut(in_group.select("node").join(in_group.groupBy("group").agg(best.alias("k")).select("k.node"), "node", "left_anti")), ID_ROWS)
+    del stars
+    release(docs.sparkSession)
     rows = band_rows(nodes.join(grouped, "node", "left").withColumn("group", F.coalesce("group", "node")), most)
-    candidates = plausible(all_pairs(rows, threshold, near, recall), nodes, threshold, near, settled).drop("j")
+    candidates = stage(plausible(all_pairs(rows, threshold, near, recall), nodes, threshold, near, settled).drop("j"))
+    del rows
+    release(docs.sparkSession)
     if ratio > NEAR:
-        candidates = candidates.unionByName(far_pairs(every, nodes, settled, threshold, ratio, recall, least))
-    second = stage(checked(stage(candidates), every))
+        candidates = candidates.unionByName(stage(far_pairs(every, nodes, settled, threshold, ratio, recall, least)))
+        release(docs.sparkSession)
+    second = stage(checked(candidates, every))
     found = first.unionByName(second)
     groups = components(found.filter(mutual))
     info = nodes.select("node", "doc", "text_key", "n")
