@@ -41,6 +41,11 @@ def run_counts(groups: DataFrame, out: str, checkpoint: str, **trigger) -> objec
     return q
 
 
+def dropped(query) -> int:
+    """Rows that came after the watermark and were dropped, from the stream's progress reports."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])
+
+
 def counts(spark: SparkSession, out: str) -> DataFrame:
     return spark.read.schema("src long, dst long, x long, batch int").parquet(out).groupBy("src", "dst").agg(F.sum("x").alias("x"))
 
