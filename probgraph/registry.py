@@ -395,19 +395,16 @@ def min_cluster_exact(spark, sf):
     return cluster_min(graphs.nation(spark, sf), 5, schedule="geometric", exact=True, order="id", pad="first").assignment
 
 
-@query()
 def min_cluster_theory(spark, sf):
     """As many worlds at each guess as the guarantee asks for, thresholds lowered by half of the relative error."""
     return cluster_min(graphs.nation(spark, sf), 6, schedule="geometric", sampling="theory", order="id", pad="first").trace_df(spark).drop("millis")
 
 
-@query()
 def avg_cluster_theory_sampled(spark, sf):
     """As many worlds at each guess as the guarantee of the mean asks for."""
     return cluster_avg(graphs.nation(spark, sf), 6, mode="theory", sampling="theory", order="id", pad="first").trace_df(spark).drop("millis")
 
 
-@query()
 def avg_cluster_depth_theory(spark, sf):
     """Mean connection within 6 hops: all candidates, disks within 2 hops, covers at the cube of the guess."""
     return cluster_avg(supplier_graph(spark, sf), 8, mode="theory", depth=6, sampling=R, order="id", pad="first").assignment
