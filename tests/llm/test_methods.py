@@ -190,6 +190,30 @@ def test_contained_in_far_larger_texts(spark):
     assert not {r.doc_id for r in near_dedup.near_dedup(df, ratio=2.5).collect()}
 
 
+def test_boilerplate_forms_no_pairs(spark, monkeypatch):
+    """Passages that many texts share: only texts that are held meet far larger ones, and each meets its largest holder, however short the part of a list that is read at a time."""
+    monkeypatch.setattr(near_dedup, "SAMPLE", 1)
+    word = lambda kind, i, n: [f"{kind}{i}x{k}" for k in range(n)]
+    shared, other = word("s", 0, 60), word("o", 0, 60)
+    large = {i: shared + word("l", i, 400 + i) + (other if i % 3 == 0 else []) for i in range(40)}
+    small = {100 + i: shared + word("m", i, 60) for i in range(40)}
+    held = {200: shared, 201: word("l", 7, 407)[:90] + shared[:20], 202: shared[:45] + other[:45], 203: other[:40]}
+    texts = {k: " ".join(v) for k, v in (large | small | held).items()}
+    every = near_dedup.sketches(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).cache()
+    nodes = every.select("node", "n")
+    doc = {r.node: r.doc for r in every.select("node", "doc").collect()}
+    for first in (2, 64):
+        found = near_dedup.far_pairs(every, nodes, nodes.select("node").limit(0), 0.7, float("inf"), 0.95, 10, first=first).collect()
+        assert len(found) < 400  # 40 times 40 pairs share the passage
+        best = {}
+        for r in sorted(found, key=lambda r: r.nb):
+            if r.shared >= 0.7 * r.na:
+                best[doc[r.a]] = doc[r.b]
+        assert best == {200: 39, 201: 7, 202: 39, 203: 39}
+    for n, kept, k in ((100, 70, near_dedup.tries(100, 70, 0.01)), (20, 3, near_dedup.tries(20, 3, 0.01)), (30, 1, near_dedup.tries(30, 1, 0.0))):
+        assert math.comb(n - kept, k) <= max(0.01 * math.comb(n, k), 0)
+
+
 def test_banding():
     for apart in range(near_dedup.furthest() + 1):
         r, b = near_dedup.banding(apart)
