@@ -234,23 +234,26 @@ class _Scan:
 def _doubling(text: np.ndarray, cap: int) -> tuple[np.ndarray, np.ndarray]:
     """Base case: suffix array and prefixes (up to cap) of a short string of integers."""
     n = len(text)
-    rank = np.unique(text, return_inverse=True)[1].astype(np.int64)
+    narrow = np.int32 if n < 1 << 30 else np.int64  # the ranks of all levels are most of the memory
+    rank = np.unique(text, return_inverse=True)[1].astype(narrow)
     levels, step = [rank], 1
-    sa = np.argsort(rank, kind="stable")
+    sa = np.argsort(rank, kind="stable").astype(narrow)
     while rank.max() + 1 < n:
-        other = np.full(n, -1, np.int64)
-        other[:-step] = rank[step:] if step < n else 0
-        key = rank * (n + 1) + other + 1
-        sa = np.argsort(key)  # equal keys stay equal in rank, so their order doesn't matter before the last round
-        k = key[sa]
-        new = np.empty(n, np.int64)
-        new[sa] = np.concatenate([[0], np.cumsum(k[1:] != k[:-1])])
-        rank = new
+        key = rank.astype(np.int64)
+        key *= n + 1
+        key[:-step] += rank[step:]
+        key[:-step] += 1
+        sa = np.argsort(key).astype(narrow)  # equal keys stay equal in rank, so their order doesn't matter before the last round
+        key = key[sa]
+        rank = np.empty(n, narrow)
+        rank[sa[0]] = 0
+        rank[sa[1:]] = np.cumsum(key[1:] != key[:-1], dtype=narrow)
+        del key
         step *= 2
         levels.append(rank)
     a, b = sa[:-1].copy(), sa[1:].copy()
     out = np.zeros(n, np.int64)
-    total = np.zeros(n - 1, np.int64)
+    total = np.zeros(n - 1, narrow)
     for level in range(len(levels) - 1, -1, -1):
         if (1 << level) > 2 * cap:
             continue
@@ -260,7 +263,7 @@ def _doubling(text: np.ndarray, cap: int) -> tuple[np.ndarray, np.ndarray]:
         a[ok] += 1 << level
         b[ok] += 1 << level
     out[1:] = np.minimum(total, cap)
-    return sa, out
+    return sa.astype(np.int64), out
 
 
 def _leftmost(text: Column, pool: Pool) -> tuple[Column, Column]:

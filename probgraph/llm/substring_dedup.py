@@ -22,11 +22,13 @@ from pyspark.sql import DataFrame
 from probgraph.llm.external import Pool
 from probgraph.llm.induced_sort import _doubling, _Ranges
 from probgraph.llm.passages import LENGTH, PART, Contents, found, joined, named, shards
-from probgraph.runtime import shared_dir
+from probgraph.runtime import lean, shared_dir
 
 #: Symbols of a reference block.
 BLOCK = 2 << 20
 BUDGET = 256 << 20
+#: Places of a block whose neighbours are looked up at a time.
+STEP = 1 << 15
 
 
 class Block:
@@ -40,14 +42,15 @@ class Block:
         self.length, self.source = np.zeros(n, np.int64), np.full(n, -1)
         for order_, at in ((order, 1), (order[::-1], -1)):
             near = self._earlier(order_)
-            has = np.flatnonzero(near >= 0)
-            i, j = has, near[has]
-            if at < 0:
-                i, j = n - 1 - j, n - 1 - i  # in the array's own direction
-            long = ranges.least(j + 1, i)
-            p, q = order_[has], order_[near[has]]
-            better = long > self.length[p]
-            self.length[p[better]], self.source[p[better]] = long[better], q[better]
+            every = np.flatnonzero(near >= 0)
+            for has in (every[x : x + STEP] for x in range(0, len(every), STEP)):
+                i, j = has, near[has]
+                p, q = order_[i], order_[j]
+                if at < 0:
+                    i, j = n - 1 - j, n - 1 - i  # in the array's own direction
+                long = ranges.least(j + 1, i)
+                better = long > self.length[p]
+                self.length[p[better]], self.source[p[better]] = long[better], q[better]
 
     @staticmethod
     def _earlier(order: np.ndarray) -> np.ndarray:
@@ -130,6 +133,7 @@ def factor_spans(docs: DataFrame, length: int = LENGTH, part: int = PART, block:
     place = shared_dir(docs.sparkSession) + "/scratch"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean()
         with Pool(budget, place) as pool:
             contents = Contents(pool, length)
             for rows, goes_on in shards(batches, part):

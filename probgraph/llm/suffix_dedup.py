@@ -24,7 +24,7 @@ from probgraph.llm import induced_sort, passages
 from probgraph.llm.external import Column, Pool, Queue
 from probgraph.llm.passages import LENGTH, NULL_DOC, PART, Contents, found, joined, named, shards
 from probgraph.llm.text import Codes, words
-from probgraph.runtime import cut as cut_
+from probgraph.runtime import cut as cut_, lean
 from probgraph.runtime import fresh, shared_dir, small, stage
 
 BUDGET = 256 << 20
@@ -81,6 +81,7 @@ def duplicate_spans(docs: DataFrame, length: int = LENGTH, budget: int = BUDGET,
     place = shared_dir(docs.sparkSession) + "/scratch"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean()
         with Pool(budget, place) as pool:
             contents = Contents(pool, length)
             for rows, goes_on in shards(batches, part):

@@ -190,6 +190,23 @@ def test_contained_in_far_larger_texts(spark):
     assert not {r.doc_id for r in near_dedup.near_dedup(df, ratio=2.5).collect()}
 
 
+def test_memory_of_a_block():
+    """Bytes a symbol while a block with repeats of thousands of words is indexed."""
+    import tracemalloc
+
+    rng = np.random.default_rng(3)
+    base, parts = rng.integers(2, 60_000, 9_000), []
+    for k in range(60):
+        a = rng.integers(0, 5_000)
+        parts += [base[a : a + 4_000], rng.integers(2, 60_000, 30), [(1 << 20) + k]]
+    text = np.concatenate(parts).astype(np.int64)
+    tracemalloc.start()
+    substring_dedup.Block(text, 4_031)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 130 * len(text), peak / len(text)
+
+
 def test_boilerplate_forms_no_pairs(spark, monkeypatch):
     """Passages that many texts share: only texts that are held meet far larger ones, and each meets its largest holder, however short the part of a list that is read at a time."""
     monkeypatch.setattr(near_dedup, "SAMPLE", 1)
