@@ -190,6 +190,16 @@ def test_contained_in_far_larger_texts(spark):
     assert not {r.doc_id for r in near_dedup.near_dedup(df, ratio=2.5).collect()}
 
 
+def test_classes_end_at_texts_that_stay(spark):
+    """A text that goes for one that itself goes is in the class of what stays in the end; every document has a class."""
+    word = lambda kind, n: [f"{kind}{x}" for x in range(n)]
+    a, b = word("a", 40), word("b", 400)
+    texts = {1: a, 2: a + b, 3: b + word("c", 600), 4: word("d", 30), 5: [], 7: word("d", 30), 8: b + word("c", 600) + ["e"]}
+    docs = spark.createDataFrame([(i, " ".join(w)) for i, w in texts.items()] + [(6, None), (4, " ".join(a))], "doc_id long, text string")
+    assert sorted(tuple(r) for r in near_dedup.near_dedup(docs).collect()) == [(1, 8), (2, 8), (3, 8), (4, 8), (7, 4)]
+    assert sorted(tuple(r) for r in near_dedup.classes(docs).collect()) == [(1, 8), (2, 8), (3, 8), (4, 4), (4, 8), (5, 5), (6, 6), (7, 4), (8, 8)]
+
+
 def test_memory_of_a_block():
     """Bytes a symbol while a block with repeats of thousands of words is indexed."""
     import tracemalloc
